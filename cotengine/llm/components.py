@@ -44,3 +44,67 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         raise RuntimeError(f"components did not settle within {most_rounds} rounds")
     roots = now.select(F.col("u").alias("node"), F.col("v").alias("root"))
     return roots.union(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
+
+
+def verified(members: DataFrame, check, ddl_of_members: str, *, chunk: int = 256) -> DataFrame:
+    """Verify the pairs within candidate groups, each pair in one task → (node, root, links).
+
+    ``members``: node, comp, weight and what ``check`` needs (``ddl_of_members`` names its
+    columns). A group of up to ``chunk`` members is one task. A larger one is cut in chunks by
+    hash, and each pair of chunks is a task, so no task holds over twice ``chunk`` members and
+    no pair is left out. ``check(table, left, right)`` returns, over the table's rows, the
+    links of each (weighted) and the least node each is connected to; ``left``/``right`` mark
+    the rows of the two chunks. ``links`` sums over tasks; roots of cut groups are joined up
+    by ``components``. Members without a link come back with themselves as root.
+    """
+    from collections.abc import Iterator
+
+    import numpy as np
+    import pyarrow as pa
+
+    from cotengine.llm.blocks import per_group, rows, schema_of
+
+    sizes = members.groupBy("comp").agg(F.count("*").alias("size")).where("size > 1").select("comp", F.ceil(F.col("size") / chunk).cast("int").alias("chunks"))
+    dealt = members.join(sizes, "comp").withColumn("own", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    dealt = dealt.withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other")).drop("other")
+    ddl = "node long, root long, links long, cut boolean"
+    schema = schema_of(ddl)
+
+    def task(table: pa.Table) -> Iterator[pa.RecordBatch]:
+        nodes = table.column("node").to_numpy()
+        _, one = np.unique(nodes, return_index=True)
+        table = table.take(pa.array(np.sort(one))).combine_chunks()  # a repeated row of the input counts once
+        own = table.column("own").to_numpy()
+        links, root = check(table, own == table.column("i")[0].as_py(), own == table.column("j")[0].as_py())
+        yield rows(schema, table.column("node").combine_chunks(), root, links, np.full(len(own), table.column("chunks")[0].as_py() > 1))
+
+    done = materialize(dealt.repartition("comp", "i", "j").sortWithinPartitions("comp", "i", "j").mapInArrow(per_group(["comp", "i", "j"], task), ddl), "verified")
+    cut = done.where("cut")
+    small = done.where(~F.col("cut")).select("node", "root", "links")
+    if cut.isEmpty():
+        return small
+    roots = components(cut.select(F.col("node").alias("u"), F.col("root").alias("v")))
+    large = cut.groupBy("node").agg(F.sum("links").alias("links")).join(roots, "node", "left").select("node", F.coalesce("root", "node").alias("root"), "links")
+    return small.union(large)
+
+
+def least_connected(nodes, a, b):
+    """Least node that each of ``nodes`` is connected to by the pairs of places (a, b)."""
+    import numpy as np
+
+    parent = list(range(len(nodes)))
+
+    def top(x: int) -> int:
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    for x, y in zip(a.tolist(), b.tolist()):
+        x, y = top(x), top(y)
+        if x != y:
+            if nodes[x] > nodes[y]:
+                x, y = y, x
+            parent[y] = x
+    return np.array([nodes[top(x)] for x in range(len(nodes))], np.int64)

@@ -5,7 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from cotengine.llm.jaccard_join import near_duplicates
+from cotengine.llm.line_dedup import dedup_lines
 from cotengine.llm.ss_packing import pack_documents
+from cotengine.llm.suffix_dedup import dedup_substrings
 from cotengine.llm.token_count import count_tokens
 from cotengine.llm.topk_search import top_k
 from cotengine.llm.url_rules import filter_urls
@@ -30,6 +33,18 @@ def op1_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return filter_urls(table(spark, sf_dir, "pages"), rules)
 
 
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dedup_lines(table(spark, sf_dir, "documents")).select("doc_id", "n_lines", "n_removed", F.sha2("text", 256).alias("kept_sha256"))
+
+
+def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dedup_substrings(table(spark, sf_dir, "documents")).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
+def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "n_links")
+
+
 def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), tokenizer=tokenizer_path(WORD_TOKENIZER))
 
@@ -43,7 +58,7 @@ def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(vectors, vectors.where(F.col("vec_id") % 100 == 0))
 
 
-QUERIES = {f.__name__: f for f in (op1_url_rules, op8_token_counts, op9_best_fit_packing, op10_exact_top_k)}
+QUERIES = {f.__name__: f for f in (op1_url_rules, op3_line_dedup, op4_suffix_dedup, op6_jaccard_join, op8_token_counts, op9_best_fit_packing, op10_exact_top_k)}
 
 ORACLES = {
     "op1_url_rules": """
