@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from cotengine.llm import lang_id, pu_quality
+from cotengine.llm.bench_decontam import contaminated, question_and_answer
 from cotengine.llm.jaccard_join import near_duplicates
 from cotengine.llm.line_dedup import dedup_lines
 from cotengine.llm.ss_packing import pack_documents
@@ -33,6 +35,15 @@ def op1_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return filter_urls(table(spark, sf_dir, "pages"), rules)
 
 
+def benchmark_items(spark: SparkSession, sf_dir: str) -> DataFrame:
+    question, answer = question_and_answer(F.col("text"))
+    return table(spark, sf_dir, "benchmark").select("item_id", question.alias("question"), answer.alias("answer"))
+
+
+def op2_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contaminated(table(spark, sf_dir, "documents"), benchmark_items(spark, sf_dir)).drop("rid")
+
+
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_lines(table(spark, sf_dir, "documents")).select("doc_id", "n_lines", "n_removed", F.sha2("text", 256).alias("kept_sha256"))
 
@@ -41,10 +52,22 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_substrings(table(spark, sf_dir, "documents")).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op5_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    scored = pu_quality.score(docs, pu_quality.fit(docs, table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", (~pu_quality.learning_rows(F.col("doc_id"))).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
 def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "n_links")
 
 
+def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    judged = lang_id.identify(docs, lang_id.fit(docs.where(lang_id.training_rows(docs))))
+    return judged.select("doc_id", (~lang_id.training_rows(docs)).alias("held_out"), "lang_pred", "score")
+
+
 def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), tokenizer=tokenizer_path(WORD_TOKENIZER))
 
@@ -58,7 +81,10 @@ def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(vectors, vectors.where(F.col("vec_id") % 100 == 0))
 
 
-QUERIES = {f.__name__: f for f in (op1_url_rules, op3_line_dedup, op4_suffix_dedup, op6_jaccard_join, op8_token_counts, op9_best_fit_packing, op10_exact_top_k)}
+QUERIES = {f.__name__: f for f in (
+    op1_url_rules, op2_benchmark_decontamination, op3_line_dedup, op4_suffix_dedup, op5_quality_classifier,
+    op6_jaccard_join, op7_language_id, op8_token_counts, op9_best_fit_packing, op10_exact_top_k,
+)}
 
 ORACLES = {
     "op1_url_rules": """
