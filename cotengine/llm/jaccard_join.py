@@ -129,15 +129,16 @@ def checker(threshold: float, tolerance: float):
 
 
 def near_duplicates(docs: DataFrame, *, shingle: int = SHINGLE, threshold: float = THRESHOLD, tolerance: float = TOLERANCE, chunk: int = 256, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, rid, class_id, n_links of every row.
+    """doc_id, rid, class_id, n_links, first of every row.
 
     Two texts are linked if the Jaccard similarity of their word ``shingle``-gram sets is
     ``threshold`` at least; a class is a connected group of links, its id the least doc_id in
     it; n_links counts the other rows a row is linked with, copies included. A text with
     fewer words has one shingle of all its words; one without any word (null or empty, say)
     is alone: class_id is its own id, n_links 0. Repeated rows are copies of each other.
-    ``rid`` is a key of (id, text). Null ids are allowed; a class of none but null ids has
-    class_id null. Other columns are ignored.
+    ``rid`` is a key of (id, text); ``first`` marks the row of least (id, rid) of a class, or
+    equal rows of it. Null ids come last; a class of none but null ids has class_id null.
+    Other columns are ignored.
     """
     ddl = "doc_id long, rid long, dg binary, bands array<long>"
     schema = schema_of(ddl)
@@ -158,7 +159,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = SHINGLE, threshold: float
 
     keyed = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
     signed = materialize(keyed.mapInArrow(sign, ddl), "signed")
-    nodes = materialize(signed.where("dg IS NOT NULL").groupBy("dg").agg(F.count("*").alias("weight"), F.min("rid").alias("node"), F.min("doc_id").alias("least"), F.any_value("bands").alias("bands")), "nodes")
+    nodes = materialize(signed.where("dg IS NOT NULL").groupBy("dg").agg(F.count("*").alias("weight"), F.min("rid").alias("node"), F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "rid")).alias("least"), F.any_value("bands").alias("bands")), "nodes")
     banded = nodes.select("node", F.explode("bands").alias("band"))
     stars = banded.groupBy("band").agg(F.min("node").alias("centre"), F.count("*").alias("k")).where("k > 1").select("band", "centre")
     edges = banded.join(stars, "band").where(F.col("node") != F.col("centre")).select(F.col("node").alias("u"), F.col("centre").alias("v"))
@@ -177,7 +178,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = SHINGLE, threshold: float
     members = keyed.select("text", F.col("rid").alias("node")).join(asked, "node").select("node", "comp", "weight", "text").mapInArrow(gather, members_ddl)
     found = materialize(verified(members, checker(threshold, tolerance), members_ddl, chunk=chunk), "links")
     rooted = nodes.select("dg", "node", "weight", "least").join(found, "node", "left").select("dg", "weight", "least", F.coalesce("root", "node").alias("root"), F.coalesce("links", F.lit(0)).alias("links"))
-    classes = rooted.groupBy("root").agg(F.min("least").alias("class_id"))
-    by_text = rooted.join(classes, "root").select("dg", "class_id", (F.col("links") + F.col("weight") - 1).alias("n_links"))
-    with_words = signed.where("dg IS NOT NULL").select("doc_id", "rid", "dg").join(by_text, "dg").select("doc_id", "rid", "class_id", "n_links")
-    return with_words.unionByName(signed.where("dg IS NULL").select("doc_id", "rid", F.col("doc_id").alias("class_id"), F.lit(0).cast("long").alias("n_links")))
+    classes = rooted.groupBy("root").agg(F.min("least").alias("one"))
+    by_text = rooted.join(classes, "root").select("dg", "one", (F.col("links") + F.col("weight") - 1).alias("n_links"))
+    with_words = signed.where("dg IS NOT NULL").select("doc_id", "rid", "dg").join(by_text, "dg").select("doc_id", "rid", F.col("one.doc_id").alias("class_id"), "n_links", (F.col("rid") == F.col("one.rid")).alias("first"))
+    return with_words.unionByName(signed.where("dg IS NULL").select("doc_id", "rid", F.col("doc_id").alias("class_id"), F.lit(0).cast("long").alias("n_links"), F.lit(True).alias("first")))

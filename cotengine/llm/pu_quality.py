@@ -192,3 +192,14 @@ def score(docs: DataFrame, model: QualityModel | None, *, doc_id: str = "doc_id"
 
     keyed = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
     return keyed.mapInArrow(judge, ddl)
+
+
+def accepted(docs: DataFrame, model: QualityModel | None, least: float, *, text: str = "text") -> DataFrame:
+    """The rows of ``docs``, with all their columns, that score ``least`` at least: a map over rows, without shuffle."""
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches, text):
+            x = features([t or "" for t in batch.column(text).to_pylist()])
+            yield batch.filter(pa.array((model.score(x) if model else np.full(len(x), 0.5)) >= least))
+
+    return docs.mapInArrow(keep, docs.schema)
