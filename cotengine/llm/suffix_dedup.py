@@ -10,8 +10,8 @@
    and takes Kasai's common prefixes; runs with common prefixes of ``length`` are repeats.
 3. Merging across shards. An anchor with more than ``hot`` different segments is spread over
    several shards. Each of them sends the windows that it saw once, and one of each repeat, as
-   sorted digests; ranges of digests are merged by binary search of each shard's run in the
-   others.
+   a run of sorted digests, cut by binary search at fixed bounds; each range of digests is
+   merged by binary search of the shards' runs.
 
 The covered places return to their documents as spans, grouped by a key of (id, text).
 """
@@ -27,11 +27,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cotengine.llm.blocks import blocks, per_group, rows, schema_of, utf8
-from cotengine.llm.store import materialize
+from cotengine.llm.store import materialize, small_side
 
 _SEGMENT = "rid long, at int, n int, v long, dg binary"
 _SPAN = "rid long, a long, b long"
-_WINDOW = "rid long, a long, b long, hi long, lo long, shard long, pending boolean"
+_WINDOW = "rid long, a long, b long, part int, digests binary, rids binary, starts binary"
 
 
 def anchors(data: np.ndarray, starts: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -148,7 +148,7 @@ def _joined(rid: np.ndarray, a: np.ndarray, length: int) -> tuple[np.ndarray, np
     return rid[first], a[first], a[last] + length
 
 
-def _shard(table: pa.Table, length: int, schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+def _shard(table: pa.Table, length: int, parts: int, schema: pa.Schema) -> Iterator[pa.RecordBatch]:
     """One shard's different segments → spans of what repeats, and what merging has to see."""
     data, starts = utf8(table.column("body"))
     rid, at, n, c = (table.column(x).to_numpy() for x in ("rid", "at", "n", "c"))
@@ -165,27 +165,38 @@ def _shard(table: pa.Table, length: int, schema: pa.Schema) -> Iterator[pa.Recor
     hit = several[group] & (c[segment] == 1)
     s_rid, a, b = _joined(rid[segment[hit]], at[segment[hit]].astype(np.int64) + within[hit], length)
     k = len(a)
-    yield rows(schema, s_rid, a, b, *[np.zeros(k, np.int64)] * 3, np.zeros(k, bool))
+    none = pa.nulls(len(a), pa.binary())
+    yield rows(schema, s_rid, a, b, pa.nulls(len(a), pa.int32()), none, none, none)
     if spread:
         _, one = np.unique(group, return_index=True)
-        shard = int(table.column("shard")[0].as_py())
         raw = data.tobytes()
-        digests = np.frombuffer(b"".join(xxhash.xxh3_128_digest(raw[p : p + length]) for p in sa[one].tolist()), ">i8").reshape(-1, 2).astype(np.int64)
+        run = np.frombuffer(b"".join(xxhash.xxh3_128_digest(raw[p : p + length]) for p in sa[one].tolist()), _DIGEST)
+        order = np.argsort(run, order=("hi", "lo"))
+        run, one, alone = run[order], one[order], ~several[order]
         own = segment[one]
-        alone = ~several
-        yield rows(schema, pa.array(rid[own], mask=~alone), at[own].astype(np.int64) + within[one], at[own] + within[one] + length, digests[:, 0], digests[:, 1], np.full(len(one), shard), np.ones(len(one), bool))
+        begin = at[own].astype(np.int64) + within[one]
+        cuts = np.searchsorted(run["hi"] >> np.uint64(32), np.arange(1, parts, dtype=np.uint64) * np.uint64((1 << 32) // parts))
+        cuts = [0, *cuts.tolist(), len(run)]
+        # A window that this shard itself saw again is settled; it only answers for others (start -1).
+        full = [(i, x, y) for i, (x, y) in enumerate(zip(cuts[:-1], cuts[1:])) if y > x]
+        begin = np.where(alone, begin, -1)
+        packed = [pa.array([v[x:y].tobytes() for _, x, y in full], pa.binary()) for v in (run, rid[own], begin)]
+        empty = pa.nulls(len(full), pa.int64())
+        yield rows(schema, empty, empty, empty, [i for i, _, _ in full], *packed)
+
+
+_DIGEST = np.dtype([("hi", "<u8"), ("lo", "<u8")])
 
 
 def _merge(table: pa.Table, length: int, schema: pa.Schema) -> Iterator[pa.RecordBatch]:
-    """A range of digests from all shards: what another shard's run holds too, by binary search in the merged run."""
-    key = np.empty(table.num_rows, [("hi", "i8"), ("lo", "i8")])
-    key["hi"], key["lo"] = table.column("hi").to_numpy(), table.column("lo").to_numpy()
-    _, code = np.unique(key, return_inverse=True)
-    merged = np.sort(code, kind="stable")  # a shard sends each window once, so a second entry is another shard's
+    """One range of digests: what another shard's run holds too, by binary search in the merged runs."""
+    runs = [np.frombuffer(b, _DIGEST) for b in table.column("digests").to_pylist()]
+    rid, start = (np.concatenate([np.frombuffer(b, np.int64) for b in table.column(c).to_pylist()]) for c in ("rids", "starts"))
+    _, code = np.unique(np.concatenate(runs), return_inverse=True)
+    merged = np.sort(code, kind="stable")  # a shard's run holds each window once, so a second entry is another shard's
     met = np.searchsorted(merged, code, "right") - np.searchsorted(merged, code, "left") > 1
-    rid = table.column("rid").combine_chunks()
-    hit = np.flatnonzero(met & rid.is_valid().to_numpy(zero_copy_only=False))
-    yield rows(schema, *_joined(rid.take(pa.array(hit)).to_numpy(), table.column("a").to_numpy()[hit], length))
+    hit = met & (start >= 0)
+    yield rows(schema, *_joined(rid[hit], start[hit], length))
 
 
 def repeated_spans(texts: DataFrame, *, length: int = 400, gram: int = 128, hot: int = 256, shard_bytes: int = 1 << 20) -> DataFrame:
@@ -210,30 +221,28 @@ def repeated_spans(texts: DataFrame, *, length: int = 400, gram: int = 128, hot:
     each = shared.groupBy("v", "dg").agg(F.count("*").alias("c"), F.min(F.struct("rid", "at", "n")).alias("one"))
     each = materialize(each.select("v", "dg", "c", "one.rid", "one.at", "one.n"), "different-segments")
     whole = shared.join(each.where("c > 1").select("dg"), "dg", "left_semi").select("rid", F.col("at").cast("long").alias("a"), (F.col("at") + F.col("n") + (length - 1)).cast("long").alias("b"))
-    kinds = each.groupBy("v").agg(F.count("*").alias("kinds"), F.sum(F.col("n") + length).alias("bytes")).where("kinds > 1")
+    kinds = each.groupBy("v").agg(F.count("*").alias("kinds"), F.sum(F.col("n") + length).alias("bytes"), F.sum("n").alias("windows")).where("kinds > 1")
     kinds = materialize(kinds, "shared-anchors")
-    total = kinds.agg(F.sum("bytes")).first()[0]
+    total, spread = kinds.agg(F.sum("bytes"), F.coalesce(F.sum(F.when(F.col("kinds") > hot, F.col("windows"))), F.lit(0))).first()
     if not total:
         return whole
+    ranges = max(64, -(-int(spread) // 50_000))
     shards = max(64, -(-int(total) // shard_bytes))
     parts = F.ceil(F.col("kinds") / hot).cast("long")
     asked = each.join(kinds, "v").select("c", "rid", "at", "n", (parts > 1).alias("spread"), F.pmod(F.xxhash64("v", F.pmod(F.xxhash64("dg"), parts)), F.when(parts > 1, F.lit(1 << 62)).otherwise(F.lit(shards))).alias("shard"))
     def sort(table: pa.Table) -> Iterator[pa.RecordBatch]:
-        yield from _shard(table, length, window)
+        yield from _shard(table, length, ranges, window)
 
     def merge(table: pa.Table) -> Iterator[pa.RecordBatch]:
         yield from _merge(table, length, span)
 
     body = F.substring(F.col("text").cast("binary"), F.col("at") + 1, F.col("n") + (length - 1))
-    carried = texts.select("rid", "text").join(asked, "rid").select("rid", "at", "n", "c", "shard", "spread", body.alias("body"))
+    carried = texts.select("rid", "text").join(small_side(materialize(asked, "asked")), "rid").select("rid", "at", "n", "c", "shard", "spread", body.alias("body"))
     seen = materialize(carried.repartition(F.col("shard")).sortWithinPartitions("shard").mapInArrow(per_group(["shard"], sort), _WINDOW), "windows")
-    found = seen.where(~F.col("pending")).select("rid", "a", "b")
-    pending = seen.where("pending")
-    k = pending.count()
-    if k:
-        ranges = max(64, -(-k // 50_000))
-        dealt = pending.withColumn("g", F.pmod(F.xxhash64("hi", "lo"), F.lit(ranges)))
-        found = found.union(dealt.repartition("g").sortWithinPartitions("g").mapInArrow(per_group(["g"], merge), _SPAN))
+    found = seen.where("part IS NULL").select("rid", "a", "b")
+    if spread:
+        merged = seen.where("part IS NOT NULL").select("part", "digests", "rids", "starts").repartition("part").sortWithinPartitions("part").mapInArrow(per_group(["part"], merge), _SPAN)
+        found = found.union(merged)
     return whole.union(found)
 
 
