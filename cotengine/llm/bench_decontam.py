@@ -3,11 +3,12 @@
 Test items are cut in even chunks of at most ``CHUNK`` words; a chunk's BM25 impacts are
 divided by its score of itself, so one threshold holds for all. Every training text is cut in
 passages of twice that size at half steps, so each chunk-sized stretch lies whole in one.
-Each passage queries the index for all chunks that reach the threshold. The first pivot test
-of WAND (no chunk can reach the threshold if the sum of the terms' greatest impacts does not)
-is taken for all passages of a block at once; passages that pass it walk their posting
-lists by pivots, with block maxima to skip. What is retrieved is verified on word n-grams
-of the item's question and answer around the passage.
+Each passage queries the index for all chunks that reach the threshold. The block-max test of
+WAND (no chunk of a range can reach the threshold if the sum of the terms' greatest impacts
+in that range does not) is taken for all passages of a block of text and all ranges at once;
+passages with a range that passes walk their posting lists by pivots, with block maxima to
+skip. What is retrieved is verified on word n-grams of the item's question and answer
+around the passage.
 
 The index holds at most ``shard`` items and is sent to the executors; more items are taken
 shard by shard, with document frequencies of all of them. Texts never move.
@@ -26,7 +27,7 @@ from cotengine.llm.blocks import blocks, rows, schema_of
 from cotengine.llm.words import Words, mixed
 
 CHUNK, K1, B, GRAM = 48, 1.2, 0.75, 5
-_BLOCK = 32
+_BLOCK, _RANGES = 32, 128
 _OUT = "doc_id long, rid long, item_id long, score double, question_overlap double, answer_overlap double"
 
 
@@ -68,6 +69,39 @@ class BlockMaxIndex:
         self.block_most = [[max(w for _, w in x[i : i + _BLOCK]) for i in range(0, len(x), _BLOCK)] for x in self.lists]
         self.block_last = [[x[min(i + _BLOCK, len(x)) - 1][0] for i in range(0, len(x), _BLOCK)] for x in self.lists]
 
+        # Greatest impact of each term in each range of chunks.
+        span = max(2, -(-n // _RANGES))
+        self.ranges = max(1, -(-n // span))
+        begin, which, greatest = [0], [], []
+        for x in self.lists:
+            held: dict[int, float] = {}
+            for c, w in x:
+                held[c // span] = max(held.get(c // span, 0.0), w)
+            which += held
+            greatest += held.values()
+            begin.append(len(which))
+        self.range_begin, self.range_of, self.range_most = np.array(begin, np.int64), np.array(which, np.int64), np.array(greatest, float)
+
+    def bounds(self, term: np.ndarray, first: np.ndarray, passages: np.ndarray, step: int) -> np.ndarray:
+        """Upper bound of the score of any chunk, over the ranges, for each passage of two steps' words."""
+        many, base = np.diff(first), np.cumsum(passages) - passages
+        text = np.repeat(np.arange(len(many)), many)
+        own = (np.arange(len(term)) - first[text]) // step
+        total, terms = int(passages.sum()), len(self.terms)
+        known = np.flatnonzero(term < terms)
+        text, own, term = text[known], own[known], term[known]
+        pairs = []
+        for back in (0, 1):
+            k = own - back
+            fits = (k >= 0) & (k < passages[text])
+            pairs.append((base[text] + k)[fits] * max(terms, 1) + term[fits])
+        at, t = np.divmod(np.unique(np.concatenate(pairs)), max(terms, 1))  # a passage asks for a term once
+        reps = self.range_begin[t + 1] - self.range_begin[t]
+        upto = np.cumsum(reps)
+        place = np.repeat(self.range_begin[t] - (upto - reps), reps) + np.arange(upto[-1] if len(upto) else 0)
+        cells = np.bincount(np.repeat(at, reps) * self.ranges + self.range_of[place], self.range_most[place], total * self.ranges)
+        return cells.reshape(total, self.ranges).max(1, initial=0.0)
+
     def term_numbers(self, hashes: np.ndarray) -> np.ndarray:
         """Number of each word's term; the number after the last for words that no item has."""
         if not len(self.terms):
@@ -151,14 +185,13 @@ def _scan(sent, threshold: float, question: float, answer: float, schema: pa.Sch
         for batch in blocks(batches, "text"):
             words = Words([t or "" for t in batch.column("text").to_pylist()])
             term = index.term_numbers(words.hashes)
-            bound = np.concatenate([[0.0], np.cumsum(index.most[term])])
             many = np.diff(words.first)
             passages = np.where(many > 0, np.maximum(1, -(-(many - (window - step)) // step)), 0)
             text = np.repeat(np.arange(len(many)), passages)
             low = words.first[:-1][text] + step * (np.arange(len(text)) - np.repeat(np.cumsum(passages) - passages, passages))
             high = np.minimum(low + window, words.first[1:][text])
             best: dict[tuple[int, int], tuple] = {}
-            for p in np.flatnonzero(bound[high] - bound[low] >= threshold - 1e-6).tolist():
+            for p in np.flatnonzero(index.bounds(term, words.first, passages, step) >= threshold - 1e-6).tolist():
                 a, b, t = int(low[p]), int(high[p]), int(text[p])
                 own = np.unique(term[a:b])
                 own = own[own < len(index.terms)].tolist()
