@@ -11,7 +11,9 @@ from pyspark.sql import functions as F
 
 from cotengine.functions.rewards import clipped_terms, policy_ratio, total
 
-PROMPT = Window.partitionBy("prompt")
+
+def _prompt():
+    return Window.partitionBy("prompt")
 
 
 def drop_overlong(r: DataFrame, most: int) -> DataFrame:
@@ -19,7 +21,7 @@ def drop_overlong(r: DataFrame, most: int) -> DataFrame:
 
 
 def filter_by_group_score(r: DataFrame, low: float = 0.1, high: float = 0.95) -> DataFrame:
-    mean = F.avg(F.col("correct").cast("double")).over(PROMPT)
+    mean = F.avg(F.col("correct").cast("double")).over(_prompt())
     return r.withColumn("group_mean", mean).where(F.col("group_mean").between(low, high))
 
 
@@ -36,7 +38,7 @@ def _normalised(reward: Column, over) -> Column:
 
 def group_advantage(r: DataFrame, reward: str = "reward") -> DataFrame:
     """(A - mean) / population std within the prompt; 0 in a constant group."""
-    return r.withColumn("advantage", _normalised(F.col(reward), PROMPT))
+    return r.withColumn("advantage", _normalised(F.col(reward), _prompt()))
 
 
 def batch_advantage(r: DataFrame, batch: str, reward: str = "reward") -> DataFrame:
@@ -102,7 +104,7 @@ def majority_at_n(r: DataFrame) -> DataFrame:
 def answer_entropy(r: DataFrame) -> DataFrame:
     """Entropy of each prompt's answers in nats, from counts."""
     c = r.groupBy("prompt", "answer").agg(F.count("*").alias("c"))
-    share = F.col("c") / F.sum("c").over(PROMPT)
+    share = F.col("c") / F.sum("c").over(_prompt())
     return c.withColumn("p", share).groupBy("prompt").agg(F.sum(-F.col("p") * F.log("p")).alias("entropy"))
 
 

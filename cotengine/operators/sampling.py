@@ -20,7 +20,7 @@ def length_quantiles(df: DataFrame, length: str, qs=QUANTILES, *, by: list[str]
     """One row (per group) with ``t``, the array of thresholds."""
     if method == "exact":
         counted = df.groupBy(*by, F.col(length).alias("_len")).agg(F.count("*").alias("_n"))
-        t = F.percentile("_len", F.array(*map(F.lit, qs)), "_n")
+        t = F.percentile("_len", F.array(*map(F.lit, qs)), F.col("_n"))
         return counted.groupBy(*by).agg(t.alias("t"))
     if method == "approx":
         return df.groupBy(*by).agg(F.percentile_approx(length, list(qs), 10_000).cast("array<double>").alias("t"))

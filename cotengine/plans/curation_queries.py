@@ -98,6 +98,9 @@ SQL_CHAIN = f"""{SQL_POOL}, valid AS (SELECT * FROM pool WHERE q IS NULL OR q =
         sampled AS (SELECT kept.* FROM kept, th WHERE {sql_unit('doc_id', 42)} < CASE WHEN n_tokens > th[3] THEN 1.0 WHEN n_tokens > th[2] THEN 0.5 WHEN n_tokens > th[1] THEN 0.1 ELSE 0.0 END)"""
 
 
+SQL_CHAIN = SQL_CHAIN.replace(" AS (SELECT", " AS MATERIALIZED (SELECT")
+
+
 def sql_rates(rates, t: str = "th") -> str:
     return f"CASE WHEN n_tokens > {t}[3] THEN {rates[3]} WHEN n_tokens > {t}[2] THEN {rates[2]} WHEN n_tokens > {t}[1] THEN {rates[1]} ELSE {rates[0]} END"
 
