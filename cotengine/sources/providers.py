@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cotengine.functions.hashing import h8, unit
-from cotengine.functions.text import token_count, tokens
+from cotengine.functions.text import tokens
 
 
 @dataclass(frozen=True)
@@ -85,7 +85,3 @@ def pair_synthesizer(per_doc: int = 2, agree: float = 0.6, extra: int = 3) -> Pr
         return slots.withColumns({"question": F.concat(F.lit("q:"), key), "ans1": said("a1"), "ans2": second, "extra": F.array(*[said(f"x{i}") for i in range(extra)]), "trace_len": 100 + F.pmod(h8(F.concat(F.lit("len:"), key)), F.lit(9000))})
 
     return Provider("synthesizer", ("d_id",), ("slot", "question", "ans1", "ans2", "extra", "trace_len"), call)
-
-
-def trace_length(df: DataFrame) -> DataFrame:
-    return df.withColumn("n_tokens", token_count(F.col("text")))
