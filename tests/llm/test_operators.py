@@ -12,7 +12,7 @@ from cotengine.llm import lang_id, pu_quality
 from cotengine.llm.bench_decontam import BlockMaxIndex, chunk_words, contaminated
 from cotengine.llm.components import components
 from cotengine.llm.jaccard_join import least_matches, near_duplicates
-from cotengine.llm.line_dedup import dedup_lines, distinct_words, edit_distance, normal, simhash
+from cotengine.llm.line_dedup import alike, dedup_lines, distinct_words, edit_distance, normal, simhash
 from cotengine.llm.queries import WORD_TOKENIZER, tokenizer_path
 from cotengine.llm.ss_packing import pack, pack_documents
 from cotengine.llm.suffix_dedup import common_prefixes, dedup_substrings, suffix_array
@@ -130,6 +130,30 @@ def test_lines(spark):
     assert dedup_lines(docs(spark, [])).count() == 0
 
 
+def changed_lines(seed, words, common, n=60):
+    """Lines of ``words`` words, ``common`` of ten from a few; each with a copy that has a tenth of its words changed."""
+    rng = np.random.default_rng(seed)
+    word = lambda: "".join(rng.choice(list("etaoinshrdlu"), rng.integers(2, 9)))
+    few, out = [word() for _ in range(12)], []
+    for _ in range(n):
+        line = [few[rng.integers(12)] if rng.random() < common / 10 else word() for _ in range(words)]
+        copy = list(line)
+        for p in rng.choice(words, max(1, words // 10), replace=False):
+            copy[p] = word()
+        out.append((" ".join(line), " ".join(copy)))
+    return out
+
+
+@pytest.mark.parametrize("words", [12, 60])
+def test_similar_lines_are_found(spark, words):
+    made = changed_lines(words, words, 3)
+    flat = [x for pair in made for x in pair]
+    near = [(i, j) for j in range(len(flat)) for i in range(j) if alike(flat[i], flat[j], 0.8)]
+    assert len(near) >= 50
+    gone = {r.doc_id for r in dedup_lines(docs(spark, list(enumerate(flat)))).where("n_removed = 1").collect()}
+    assert gone <= {j for _, j in near} and len(gone) >= 0.9 * len({j for _, j in near})
+
+
 # --- substrings ---------------------------------------------------------------------------------------
 
 
