@@ -100,21 +100,27 @@ def retrieve_buckets(queries: DataFrame, corpus: DataFrame, cell_of, *, k: int,
 
         return df.select(F.col(id_).cast("long").alias(id_), F.transform("vec", lambda v: v.cast("double")).alias("vec")).mapInArrow(work, ddl)
 
-    met = celled(queries, "x_id", probes).withColumnRenamed("vec", "xv").join(celled(corpus, "d_id", 1), "cell")
+    met = celled(queries, "x_id", probes).withColumnRenamed("vec", "xv").join(celled(corpus, "d_id", 1), "cell").dropDuplicates(["x_id", "d_id"])
     sims = met.select("x_id", "d_id", F.round(cosine(F.col("xv"), F.col("vec")), 9).alias("sim"))
     return sims.withColumn("rank", F.row_number().over(Window.partitionBy("x_id").orderBy(F.col("sim").desc(), "d_id"))).where(F.col("rank") <= k)
 
 
 def sign_cells(dim: int, bits: int = 6, seed: int = 42):
-    """Cells by the signs of random projections; further probes flip the bits nearest to zero."""
+    """Cells by the signs of random projections; probes are the different cells of least flip cost.
+
+    A flip costs the distance of a projection from zero, a cell the sum over its flips; ties go to the lower mask.
+    """
     p = planes(dim, bits, seed)
+    flips = np.arange(1 << bits)
+    own = (flips[:, None] >> np.arange(bits)) & 1
 
     def cells(m: np.ndarray, n: int) -> np.ndarray:
         dots = m @ p.T
         base = (dots > 0) @ (1 << np.arange(bits))
-        order = np.argsort(np.abs(dots), axis=1)
-        out = [base] + [base ^ (1 << order[:, i % bits]) ^ (0 if i < bits else (1 << order[:, (i + 1) % bits])) for i in range(n - 1)]
-        return np.stack(out, 1).astype(np.int64)
+        if n == 1:
+            return base[:, None].astype(np.int64)
+        order = np.argsort(np.abs(dots) @ own.T, axis=1, kind="stable")[:, :n]
+        return (base[:, None] ^ flips[order]).astype(np.int64)
 
     return cells
 

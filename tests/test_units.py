@@ -129,3 +129,13 @@ def test_components(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(30)] + [(100, 101), (5, 5)], "u long, v long")
     got = {r.node: r.root for r in dedup.components(edges).collect()}
     assert {got[i] for i in range(31)} == {0} and got[101] == 100
+
+
+def test_probes_and_retrieved_pairs_are_unique(spark):
+    m = np.random.default_rng(3).standard_normal((40, 64))
+    for n in (1, 24, 64):
+        assert all(len(set(row)) == n for row in fd.sign_cells(64)(m, n).tolist())
+    x, d = (spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(part)], f"{k} long, vec array<double>") for k, part in (("x_id", m[:10]), ("d_id", m[10:])))
+    for cells, probes in ((fd.sign_cells(64), 64), (lambda v, n: np.zeros((len(v), n), np.int64), 3)):
+        got = fd.retrieve_buckets(x, d, cells, k=12, probes=probes)
+        assert got.count() == got.select("x_id", "d_id").distinct().count() == 120
