@@ -89,7 +89,7 @@ def pack_documents(docs: DataFrame, *, tokenizer: str, size: int = 4096, end_id:
     A null or empty text is the closing id alone. Repeated rows are packed once each. Order
     in a sequence follows the packing, offsets are gapless from 0. Other columns are ignored.
     """
-    pieces = materialize(token_pieces(docs, tokenizer=tokenizer, size=size, end_id=end_id, doc_id=doc_id, text=text), "pieces")
+    pieces = materialize(token_pieces(docs, tokenizer=tokenizer, size=size, end_id=end_id, doc_id=doc_id, text=text).withColumn("number", F.monotonically_increasing_id()), "pieces")  # written with the pieces, so that it stays
     n = pieces.where(F.col("length") < size).count()
     groups = max(1, -(-n // group))
     schema = schema_of("doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
@@ -105,5 +105,5 @@ def pack_documents(docs: DataFrame, *, tokenizer: str, size: int = 4096, end_id:
 
     loose = pieces.where(F.col("length") < size).withColumn("g", F.pmod(F.xxhash64("rid", "piece"), F.lit(groups)))
     packed = loose.repartition("g").sortWithinPartitions("g").mapInArrow(per_group(["g"], work), ddl)
-    full = pieces.where(F.col("length") == size).select("doc_id", "piece", "start", "length", "ids_crc32", (-1 - F.pmod(F.xxhash64("rid", "piece"), F.lit(1 << 62))).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
+    full = pieces.where(F.col("length") == size).select("doc_id", "piece", "start", "length", "ids_crc32", (-1 - F.col("number")).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
     return packed.unionByName(full)

@@ -329,6 +329,14 @@ def test_packing(spark):
     assert len(used) <= 1.05 * loose / 512 + 2
 
 
+def test_repeated_long_rows_have_sequences_of_their_own(spark):
+    got = pack_documents(docs(spark, ODD), tokenizer=tokenizer_path(WORD_TOKENIZER), size=512).collect()
+    full = [r for r in got if r.length == 512]
+    once = sum(r.doc_id == 5 for r in full)
+    assert once > 0 and sum(r.doc_id == 6 for r in full) == 2 * once
+    assert len({r.sequence_id for r in full}) == len(full) and all(r.offset == 0 and r.sequence_id < 0 for r in full)
+
+
 def test_pack_needs_few_sequences():
     lengths = np.random.default_rng(1).integers(1, 700, 3000)
     number, offset = pack(lengths, 1000)
