@@ -203,12 +203,12 @@ def kernel_truncation_gap(spark, sf_dir):
 def _approximate(spark, sf_dir, kind, k=30):
     x, d = vectors(spark, sf_dir)
     if kind == "srp":
-        cells, probes = fd.sign_cells(64), 24
+        cells, probes = fd.sign_cells(64), 54
     else:
         import numpy as np
 
         sample = d.orderBy(F.xxhash64("d_id")).limit(5000).collect()  # bound of the centroid sample
-        cells, probes = fd.centroid_cells(np.array([r.vec for r in sample], float)), 10
+        cells, probes = fd.centroid_cells(np.array([r.vec for r in sample], float)), 13
     return fd.retrieve_buckets(x, d, cells, k=k, probes=probes)
 
 

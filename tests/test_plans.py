@@ -45,3 +45,8 @@ def test_against_sql(spark, name):
     want = sorted(map(str, got.fetchall()))
     df = entry.queries()[name](spark, SF).select(*cols)
     assert sorted(str(tuple(r)) for r in df.collect()) == want
+
+
+def test_approximate_retrieval_finds_nine_tenths(spark):
+    got = {r.method: r.recall for r in entry.queries()["retrieval_recall"](spark, SF).collect()}
+    assert set(got) == {"ivf", "srp"} and min(got.values()) >= 0.9
