@@ -154,6 +154,16 @@ def test_similar_lines_are_found(spark, words):
     assert gone <= {j for _, j in near} and len(gone) >= 0.9 * len({j for _, j in near})
 
 
+def test_lines_alike_by_all_words_are_found(spark):
+    made = changed_lines(5, 60, 8)
+    w = Words([x for pair in made for x in pair])
+    by_all, by_different = simhash(w.hashes, w.first), simhash(*distinct_words(w.hashes, w.first))
+    bits = lambda s: np.bitwise_count(s[0::2] ^ s[1::2])
+    want = {2 * i + 1 for i in np.flatnonzero((bits(by_all) <= 3) & (bits(by_different) > 3)).tolist() if alike(*made[i], 0.8)}
+    gone = {r.doc_id for r in dedup_lines(docs(spark, [(i, x) for i, x in enumerate(x for pair in made for x in pair)])).where("n_removed = 1").collect()}
+    assert len(want) >= 5 and want <= gone
+
+
 # --- substrings ---------------------------------------------------------------------------------------
 
 
