@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cotengine.llm.blocks import blocks, per_group, rows, schema_of, utf8
-from cotengine.llm.store import materialize, small_side
+from cotengine.llm.store import materialize
 
 _SEGMENT = "rid long, at int, n int, v long, dg binary"
 _SPAN = "rid long, a long, b long"
@@ -76,8 +76,8 @@ def anchors(data: np.ndarray, starts: np.ndarray, length: int, gram: int) -> tup
     return first, np.flatnonzero(stop) - first + 1, h[at[first]].view(np.int64)
 
 
-def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
-    """Suffixes in order of their first ``depth`` bytes at least, ties by place: Larsson-Sadakane refinement."""
+def suffix_array(data: np.ndarray) -> np.ndarray:
+    """Suffixes in full order by Larsson-Sadakane refinement: each round doubles the sorted depth of what is not yet single."""
     n = len(data)
     padded = np.concatenate([data, np.zeros(8, np.uint8)]).tobytes()
     key = np.ndarray((n,), ">u8", padded, strides=(1,)).astype(np.uint64)
@@ -85,21 +85,21 @@ def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
     ordered = key[sa]
     head = np.ones(n, bool)
     head[1:] = ordered[1:] != ordered[:-1]
-    group = np.empty(n + 1, np.int64)  # number of a group: place of its head
-    group[n] = -1
+    group = np.empty(n, np.int64)  # number of a group: place of its head
     where = np.maximum.accumulate(np.where(head, np.arange(n), 0))
     group[sa] = where
     h = 8
-    while h < depth:
+    while True:
         single = head.copy()
         single[:-1] &= head[1:]
         todo = np.flatnonzero(~single)  # only groups that are not yet single are refined
         if not len(todo):
-            break
+            return sa
         own = sa[todo]
-        then = group[np.minimum(own + h, n)]
+        # A suffix that ends within h bytes comes before all it is a prefix of, the shortest first.
+        then = np.where(own + h < n, group[np.minimum(own + h, n - 1)], n - 1 - (own + h))
         mine = where[todo]
-        order = np.argsort(mine * np.int64(n + 1) + (then + 1), kind="stable")
+        order = np.argsort(mine * np.int64(n + h + 1) + (then + h), kind="stable")
         sa[todo] = own[order]
         mine, then = mine[order], then[order]
         fresh = np.ones(len(todo), bool)
@@ -108,33 +108,41 @@ def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
         where = np.maximum.accumulate(np.where(head, np.arange(n), 0))
         group[sa] = where
         h *= 2
-    return sa
 
 
-def common_prefixes(data: bytes, sa: np.ndarray, most: int) -> np.ndarray:
-    """Kasai: the common prefix of each suffix with the one before it in order, counted up to ``most``."""
+def common_prefixes(data: np.ndarray, sa: np.ndarray, most: int, lanes: int = 4096) -> np.ndarray:
+    """Kasai: the common prefix of each suffix with the one before it in order, counted up to ``most``.
+
+    The text is cut in up to ``lanes`` stretches that go ahead in step; each carries its own
+    prefix from place to place, and eight bytes are compared at once. ``sa`` is in full order,
+    without which a carried prefix would not hold.
+    """
     n = len(sa)
-    rank = np.empty(n, np.int64)
-    rank[sa] = np.arange(n)
+    out = np.zeros(n, np.int64)
+    if not n:
+        return out
     before = np.full(n, -1, np.int64)
     before[sa[1:]] = sa[:-1]
-    out, h = [0] * n, 0
-    for i, j in enumerate(before.tolist()):
-        if j < 0:
-            h = 0
-            continue
-        end = min(most, n - i, n - j)
-        if h < end:
-            if data[i + h : i + end] == data[j + h : j + end]:
-                h = end
-            else:
-                while h < end and data[i + h] == data[j + h]:
-                    h += 1
+    words = np.ndarray((n,), "<u8", np.concatenate([data, np.zeros(8, np.uint8)]).tobytes(), strides=(1,)).copy()
+    step = -(-n // max(1, min(lanes, n // 64)))
+    starts = np.arange(0, n, step)
+    carried = np.zeros(len(starts), np.int64)
+    for k in range(step):
+        i = starts + k
+        i = i[: np.searchsorted(i, n)]
+        j = before[i]
+        end = np.where(j < 0, 0, np.minimum(most, n - np.maximum(i, j)))
+        h = np.minimum(carried[: len(i)], end)
+        live = np.flatnonzero(h < end)
+        while len(live):
+            at = h[live]
+            x = words[i[live] + at] ^ words[j[live] + at]
+            equal = (np.bitwise_count((x & -x) - np.uint64(1)) >> 3).astype(np.int64)  # equal low bytes of the two words
+            h[live] = np.minimum(at + equal, end[live])
+            live = live[(equal == 8) & (h[live] < end[live])]
         out[i] = h
-        if h:
-            h -= 1
-    lcp = np.array(out, np.int64)
-    return lcp[sa]
+        carried = np.maximum(h - 1, 0)
+    return out[sa]
 
 
 def _joined(rid: np.ndarray, a: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -153,8 +161,8 @@ def _shard(table: pa.Table, length: int, parts: int, schema: pa.Schema) -> Itera
     data, starts = utf8(table.column("body"))
     rid, at, n, c = (table.column(x).to_numpy() for x in ("rid", "at", "n", "c"))
     spread = bool(table.column("spread")[0].as_py())
-    sa = suffix_array(data, length)
-    lcp = common_prefixes(data.tobytes(), sa, length)
+    sa = suffix_array(data)
+    lcp = common_prefixes(data, sa, length)
     segment = np.repeat(np.arange(len(n)), np.diff(starts))[sa]
     within = sa - starts[segment]
     window = within < n[segment]  # a start that the segment owns, with all its bytes
@@ -200,9 +208,9 @@ def _merge(table: pa.Table, length: int, schema: pa.Schema) -> Iterator[pa.Recor
 
 
 def repeated_spans(texts: DataFrame, *, length: int = 400, gram: int = 128, hot: int = 256, shard_bytes: int = 1 << 20) -> DataFrame:
-    """(rid, text) → (rid, a, b): byte spans of ``text`` that repeated strings cover; they may overlap.
+    """(rid, text) → (rid, a, b): byte spans of ``text`` that repeated strings cover; they may overlap and come again.
 
-    ``rid`` is a key of the text's row; rows that share it hold one text.
+    ``rid`` is a key of the text's row; rows that share it hold one text, and each counts as a copy.
     """
     seg, span, window = schema_of(_SEGMENT), schema_of(_SPAN), schema_of(_WINDOW)
 
@@ -216,20 +224,23 @@ def repeated_spans(texts: DataFrame, *, length: int = 400, gram: int = 128, hot:
             yield rows(seg, batch.column("rid").take(pa.array(doc)), first - starts[doc], n, v, pa.array(dg, pa.binary()))
 
     segments = materialize(texts.select("rid", "text").mapInArrow(screen, _SEGMENT), "segments")
-    twice = segments.groupBy("v").agg(F.count("*").alias("k")).where("k > 1").select("v")
+    # Both sides of each join below are written tables, so that a hot anchor or digest is split at run time.
+    twice = materialize(segments.groupBy("v").agg(F.count("*").alias("k")).where("k > 1").select("v"), "shared-anchors")
     shared = materialize(segments.join(twice, "v").select(*seg.names), "shared-segments")
     each = shared.groupBy("v", "dg").agg(F.count("*").alias("c"), F.min(F.struct("rid", "at", "n")).alias("one"))
     each = materialize(each.select("v", "dg", "c", "one.rid", "one.at", "one.n"), "different-segments")
-    whole = shared.join(each.where("c > 1").select("dg"), "dg", "left_semi").select("rid", F.col("at").cast("long").alias("a"), (F.col("at") + F.col("n") + (length - 1)).cast("long").alias("b"))
+    copied = materialize(each.where("c > 1").select("dg").distinct(), "copied-segments")
+    whole = shared.join(copied, "dg", "left_semi").select("rid", F.col("at").cast("long").alias("a"), (F.col("at") + F.col("n") + (length - 1)).cast("long").alias("b"))
     kinds = each.groupBy("v").agg(F.count("*").alias("kinds"), F.sum(F.col("n") + length).alias("bytes"), F.sum("n").alias("windows")).where("kinds > 1")
-    kinds = materialize(kinds, "shared-anchors")
+    kinds = materialize(kinds, "several-segments")
     total, spread = kinds.agg(F.sum("bytes"), F.coalesce(F.sum(F.when(F.col("kinds") > hot, F.col("windows"))), F.lit(0))).first()
     if not total:
         return whole
     ranges = max(64, -(-int(spread) // 50_000))
     shards = max(64, -(-int(total) // shard_bytes))
     parts = F.ceil(F.col("kinds") / hot).cast("long")
-    asked = each.join(kinds, "v").select("c", "rid", "at", "n", (parts > 1).alias("spread"), F.pmod(F.xxhash64("v", F.pmod(F.xxhash64("dg"), parts)), F.when(parts > 1, F.lit(1 << 62)).otherwise(F.lit(shards))).alias("shard"))
+    asked = each.join(kinds.select("v", "kinds"), "v").select("c", "rid", "at", "n", (parts > 1).alias("spread"), F.pmod(F.xxhash64("v", F.pmod(F.xxhash64("dg"), parts)), F.when(parts > 1, F.lit(1 << 62)).otherwise(F.lit(shards))).alias("shard"))
+
     def sort(table: pa.Table) -> Iterator[pa.RecordBatch]:
         yield from _shard(table, length, ranges, window)
 
@@ -237,7 +248,7 @@ def repeated_spans(texts: DataFrame, *, length: int = 400, gram: int = 128, hot:
         yield from _merge(table, length, span)
 
     body = F.substring(F.col("text").cast("binary"), F.col("at") + 1, F.col("n") + (length - 1))
-    carried = texts.select("rid", "text").join(small_side(materialize(asked, "asked")), "rid").select("rid", "at", "n", "c", "shard", "spread", body.alias("body"))
+    carried = texts.select("rid", "text").join(materialize(asked, "asked"), "rid").select("rid", "at", "n", "c", "shard", "spread", body.alias("body"))
     seen = materialize(carried.repartition(F.col("shard")).sortWithinPartitions("shard").mapInArrow(per_group(["shard"], sort), _WINDOW), "windows")
     found = seen.where("part IS NULL").select("rid", "a", "b")
     if spread:
@@ -247,7 +258,7 @@ def repeated_spans(texts: DataFrame, *, length: int = 400, gram: int = 128, hot:
 
 
 def dedup_substrings(docs: DataFrame, *, length: int = 400, gram: int = 128, hot: int = 256, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans and ``kept`` (binary: the remaining bytes) of every row.
+    """doc_id, n_bytes, n_removed, n_spans, ``kept`` (binary: the remaining bytes) and n_chars (characters that begin in them) of every row.
 
     A byte goes if a string of ``length`` bytes that covers it starts anywhere else too, in
     another row or the same; overlaps count, and all is judged on the input, so no copy stays.
@@ -257,15 +268,15 @@ def dedup_substrings(docs: DataFrame, *, length: int = 400, gram: int = 128, hot
     """
     keyed = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).withColumn("rid", F.xxhash64("doc_id", "text"))
     spans = repeated_spans(keyed, length=length, gram=gram, hot=hot)
-    by_row = spans.groupBy("rid").agg(F.collect_list(F.struct("a", "b")).alias("spans")).select("rid", F.col("spans.a").alias("a"), F.col("spans.b").alias("b"))
-    ddl = "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary"
+    by_row = spans.groupBy("rid").agg(F.collect_set(F.struct("a", "b")).alias("spans")).select("rid", F.col("spans.a").alias("a"), F.col("spans.b").alias("b"))
+    ddl = "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary, n_chars long"
     schema = schema_of(ddl)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches, "text"):
             data, starts = utf8(batch.column("text"))
             raw = memoryview(data)
-            kept, gone, runs = [], [], []
+            kept, gone, runs, chars = [], [], [], []
             for at, end, a, b in zip(starts[:-1].tolist(), starts[1:].tolist(), batch.column("a").to_pylist(), batch.column("b").to_pylist()):
                 parts, last, removed, k = [], at, 0, 0
                 upto = -1
@@ -278,8 +289,9 @@ def dedup_substrings(docs: DataFrame, *, length: int = 400, gram: int = 128, hot
                     last = at + upto
                 parts.append(raw[last:end])
                 kept.append(b"".join(parts))
+                chars.append(int(np.count_nonzero(np.frombuffer(kept[-1], np.uint8) & 0xC0 != 0x80)))
                 gone.append(removed)
                 runs.append(k)
-            yield rows(schema, batch.column("doc_id"), np.diff(starts), gone, runs, pa.array(kept, pa.binary()))
+            yield rows(schema, batch.column("doc_id"), np.diff(starts), gone, runs, pa.array(kept, pa.binary()), chars)
 
     return keyed.join(by_row, "rid", "left").select("doc_id", "text", "a", "b").mapInArrow(cut, ddl)

@@ -169,38 +169,68 @@ def test_lines_alike_by_all_words_are_found(spark):
 
 def test_suffix_array_and_prefixes():
     rng = np.random.default_rng(0)
-    for _ in range(40):
+    for k in range(60):
         data = rng.integers(97, 99 + rng.integers(3), rng.integers(1, 300)).astype(np.uint8)
+        if k % 3 == 0:  # shared runs longer than the counted prefix, and zero bytes at the end
+            run = rng.integers(0, 2, rng.integers(500, 900)).astype(np.uint8)
+            data = np.concatenate([run, data, run, run[100:], data, np.zeros(9, np.uint8)])
         raw = data.tobytes()
-        sa = suffix_array(data, 512)
+        sa = suffix_array(data)
         assert sa.tolist() == sorted(range(len(raw)), key=lambda i: raw[i:])
-        lcp = common_prefixes(raw, sa, 40)
-        for k in range(1, len(sa)):
-            a, b = raw[sa[k - 1] :], raw[sa[k] :]
-            same = next((i for i in range(min(len(a), len(b))) if a[i] != b[i]), min(len(a), len(b)))
-            assert lcp[k] == min(same, 40)
+        for most, lanes in ((40, 4096), (400, 3)):
+            lcp = common_prefixes(data, sa, most, lanes)
+            for k in range(1, len(sa)):
+                a, b = raw[sa[k - 1] :][:most], raw[sa[k] :][:most]
+                assert lcp[k] == next((i for i, (x, y) in enumerate(zip(a, b)) if x != y), min(len(a), len(b)))
 
 
-@pytest.mark.parametrize("hot", [256, 1])
-def test_substrings(spark, hot):
-    rng = np.random.default_rng(4)
-    word = lambda n: "".join(rng.choice(list("abcdé "), n))
-    shared = [word(90), word(45)]
-    rows = ODD + [(20 + i, word(rng.integers(0, 80)) + shared[i % 2] + word(rng.integers(0, 80))) for i in range(30)] + [(90, "ab" * 100), (91, None)]
-    size = 40
+def brute_substrings(rows, size):
+    """(id, bytes, removed, runs, digest of what stays) of each row, by counting every window."""
     enc = [(t or "").encode() for _, t in rows]
     count = Counter(b[i : i + size] for b in enc for i in range(len(b) - size + 1))
-    want = []
+    out = []
     for (d, _), b in zip(rows, enc):
         gone = np.zeros(len(b), bool)
         for i in range(len(b) - size + 1):
             if count[b[i : i + size]] > 1:
                 gone[i : i + size] = True
         runs = int((np.diff(np.concatenate([[0], gone.astype(int)])) == 1).sum())
-        want.append((d or 0, len(b), int(gone.sum()), runs, hashlib.sha256(bytes(x for x, g in zip(b, gone) if not g)).hexdigest()))
-    got = dedup_substrings(docs(spark, rows), length=size, gram=8, hot=hot).withColumn("s", F.sha2("kept", 256)).collect()
-    assert sorted((r.doc_id or 0, r.n_bytes, r.n_removed, r.n_spans, r.s) for r in got) == sorted(want)
-    assert dedup_substrings(docs(spark, []), length=size, gram=8).count() == 0
+        kept = bytes(x for x, g in zip(b, gone) if not g)
+        out.append((d or 0, len(b), int(gone.sum()), runs, hashlib.sha256(kept).hexdigest(), sum(x & 0xC0 != 0x80 for x in kept)))
+    return sorted(out)
+
+
+def substrings(spark, rows, size, **settings):
+    got = dedup_substrings(docs(spark, rows), length=size, **settings).withColumn("s", F.sha2("kept", 256)).collect()
+    return sorted((r.doc_id or 0, r.n_bytes, r.n_removed, r.n_spans, r.s, r.n_chars) for r in got)
+
+
+def test_long_shared_runs(spark):
+    rng = np.random.default_rng(14)
+    text = lambda n: "".join(rng.choice(list("ab "), n))
+    runs, rows = [text(n) for n in (430, 700, 1900, 5000)], []
+    for i in range(24):
+        a, b = runs[i % 4], runs[(i + 1) % 4]
+        cut = int(rng.integers(0, 300))
+        rows.append((i, text(rng.integers(0, 300)) + a[cut:] + text(rng.integers(0, 40)) + b[: len(b) - cut] + text(rng.integers(0, 300))))
+    rows += [(50, runs[2][:1000] + "c" + runs[2][1001:]), (51, "xy" * 2000)]
+    assert substrings(spark, rows, 400) == substrings(spark, rows, 400, hot=1) == brute_substrings(rows, 400)
+
+
+def test_many_equal_rows(spark):
+    rows = [(7, LONG[:3000])] * 700 + [(8, LONG[:2500])]
+    got = substrings(spark, rows, 400)
+    assert len(got) == 701 and {r[2:4] for r in got} == {(3000, 1), (2500, 1)}
+
+
+@pytest.mark.parametrize("hot", [256, 1])
+def test_substrings(spark, hot):
+    rng = np.random.default_rng(4)
+    word = lambda n: "".join(rng.choice(list("abcdé "), n))
+    shared = [word(90), word(45)]
+    rows = ODD + [(20 + i, word(rng.integers(0, 80)) + shared[i % 2] + word(rng.integers(0, 80))) for i in range(30)] + [(90, "ab" * 100), (91, None)]
+    assert substrings(spark, rows, 40, gram=8, hot=hot) == brute_substrings(rows, 40)
+    assert dedup_substrings(docs(spark, []), length=40, gram=8).count() == 0
 
 
 # --- near duplicates -------------------------------------------------------------------------------------
