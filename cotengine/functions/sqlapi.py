@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import SparkSession
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
 
 _FUNCTIONS = {
     "length_score(len DOUBLE, correct BOOLEAN, least DOUBLE, most DOUBLE) RETURNS DOUBLE": "CASE WHEN correct OR len >= most THEN 1D WHEN len <= least THEN 0D ELSE (len - least) / (most - least) END",
@@ -32,8 +33,16 @@ class Windows:
             yield i, " ".join(words[at : at + size])
 
 
+@pandas_udf("string")
+def majority(answers: pd.Series) -> str:
+    """majority(answer): the answer with most votes, then the smallest; nulls do not vote. Of one group at a time, so for groups that fit a task."""
+    votes = answers.dropna().value_counts()
+    return min(votes.index[votes == votes.max()]) if len(votes) else None
+
+
 def register(spark: SparkSession) -> None:
     for head, body in _FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
+    spark.udf.register("majority", majority)
     spark.udtf.register("ngrams", Ngrams)
     spark.udtf.register("windows", Windows)

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from cotengine.operators import vector_blocks
+from cotengine.operators.dedup import cut_lineage
 
 def failure_weights(answers: DataFrame, item: str = "prompt", *, kind: str = "binary") -> DataFrame:
     """(item, w): 1 if the item's first answer is wrong, or for ``soft`` 1 minus its pass rate."""
@@ -26,47 +28,53 @@ def failure_distribution(weights: DataFrame, item: str = "prompt", q: str | None
     return weights.where("w > 0").crossJoin(F.broadcast(total)).select(item, (mass / F.col("_t")).alias("q"))
 
 
-def retrieve(queries: DataFrame, corpus: DataFrame, *, k: int = 30, most_queries: int = 20_000, min_sim: float | None = None) -> DataFrame:
-    """(x_id, d_id, sim, rank): exact cosine top-k of a bounded query set over the whole corpus.
+def _doubles(df: DataFrame, key: str) -> DataFrame:
+    return df.select(F.col(key).cast("long").alias(key), F.transform("vec", lambda v: v.cast("double")).alias("vec"))
 
-    Queries (counted; taken in blocks of ``most_queries``) travel to the tasks; each task keeps
-    the k best of its rows, a window merges them. Zero vectors and other lengths have no
-    similarity. With ``min_sim`` all at or above it are returned instead, ranked.
+
+def _unit_rows(m: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows at length one, and which rows have a length at all."""
+    norm = np.linalg.norm(m, axis=1)
+    return m / np.where(norm > 0, norm, 1)[:, None], norm > 0
+
+
+def retrieve(queries: DataFrame, corpus: DataFrame, *, k: int = 30, min_sim: float | None = None, screen: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None) -> DataFrame:
+    """(x_id, d_id, sim, rank): cosine top-k of each query over the whole corpus.
+
+    Zero vectors and other lengths have no similarity. With ``min_sim`` all pairs at or above
+    it are returned instead, without rank. ``screen(q, c)`` marks the pairs of two blocks that
+    are compared at all (unit rows): with one, the search is approximate.
     """
-    spark = queries.sparkSession
-    blocks_ = max(1, -(-queries.count() // most_queries))
-    ddl = "x_id long, d_id long, sim double"
-    found = None
-    for b in range(blocks_):
-        got = queries.where(F.pmod(F.xxhash64("x_id"), F.lit(blocks_)) == b).select("x_id", F.transform("vec", lambda v: v.cast("double")).alias("vec")).collect()
-        ids, rows = np.array([r.x_id for r in got], np.int64), [np.array(r.vec, float) for r in got]
-        sent = spark.sparkContext.broadcast((ids, rows))
-
-        def near(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
-            ids, rows = sent.value
-            fits: dict[int, list[int]] = {}
-            for i, r in enumerate(rows):
-                if np.linalg.norm(r) > 0:
-                    fits.setdefault(len(r), []).append(i)
-            for batch in batches:
-                d_all, size = batch.column("d_id").to_numpy(), pa.compute.list_value_length(batch.column("vec")).to_numpy(zero_copy_only=False)
-                for dim, which in fits.items():
-                    own = np.flatnonzero(size == dim)
-                    if not len(own):
-                        continue
-                    m = batch.column("vec").take(pa.array(own)).flatten().to_numpy(zero_copy_only=False).reshape(-1, dim).astype(float)
-                    norm = np.linalg.norm(m, axis=1)
-                    m, d = m[norm > 0] / norm[norm > 0, None], d_all[own][norm > 0]
-                    x = np.stack([rows[i] / np.linalg.norm(rows[i]) for i in which])
-                    sim = np.round(x @ m.T, 9)
-                    for j, i in enumerate(which):
-                        pick = np.flatnonzero(sim[j] >= min_sim) if min_sim is not None else np.lexsort((d, -sim[j]))[:k]
-                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(pick), ids[i])), pa.array(d[pick]), pa.array(sim[j][pick])], names=["x_id", "d_id", "sim"])
-
-        part = corpus.select(F.col("d_id").cast("long").alias("d_id"), F.transform("vec", lambda v: v.cast("double")).alias("vec")).mapInArrow(near, ddl)
-        found = part if found is None else found.union(part)
-    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("x_id").orderBy(F.col("sim").desc(), "d_id")))
-    return ranked if min_sim is not None else ranked.where(F.col("rank") <= k)
+
+    def score(q: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        (q, some), (c, any_) = _unit_rows(q), _unit_rows(c)
+        counts = some[:, None] & any_[None, :]
+        return np.round(q @ c.T, 9), counts if screen is None else counts & screen(q, c)
+
+    asked = cut_lineage(vector_blocks.packed(_doubles(queries, "x_id"), "x_id", "vec", vector_blocks.QUERY_ROWS, "<f8"), "query-blocks")
+    blocks = vector_blocks.packed(_doubles(corpus, "d_id"), "d_id", "vec", vector_blocks.ROWS, "<f8")
+    if min_sim is None:
+        found = vector_blocks.best_matches(asked, blocks, score, k=k, kind="<f8", ddl="double", apart=False)
+        return found.select(F.col("x").alias("x_id"), F.col("d").alias("d_id"), F.col("score").alias("sim"), "rank")
+
+    def above(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for r in batch.to_pylist():
+                x, d = np.frombuffer(r["q_ids"], np.int64), np.frombuffer(r["ids"], np.int64)
+                sim, counts = score(np.frombuffer(r["q_data"], "<f8").reshape(len(x), -1), np.frombuffer(r["data"], "<f8").reshape(len(d), -1))
+                i, j = np.nonzero(counts & (sim >= min_sim))
+                yield pa.RecordBatch.from_arrays([pa.array(x[i]), pa.array(d[j]), pa.array(sim[i, j])], names=["x_id", "d_id", "sim"])
+
+    pairs = blocks.crossJoin(asked.select(F.col("dim").alias("q_dim"), F.col("ids").alias("q_ids"), F.col("data").alias("q_data"))).where("dim = q_dim")  # blocks, bounded in size
+    return pairs.select("q_ids", "q_data", "ids", "data").mapInArrow(above, "x_id long, d_id long, sim double")
+
+
+def truncation_gap(queries: DataFrame, corpus: DataFrame, *, k: int, tau: float) -> DataFrame:
+    """(x_id, tv): kernel mass outside the top k. One sum a query over all pairs (shifted by 1, the greatest cosine), one over the top k."""
+    e = F.exp((F.col("sim") - 1) / tau)
+    whole = retrieve(queries, corpus, min_sim=-2.0).groupBy("x_id").agg(F.sum(e).alias("whole"))
+    top = retrieve(queries, corpus, k=k).groupBy("x_id").agg(F.sum(e).alias("top"))
+    return whole.join(top, "x_id").select("x_id", (1 - F.col("top") / F.col("whole")).alias("tv"))
 
 
 def retrieval_kernel(sims: DataFrame, tau: float) -> DataFrame:
@@ -79,61 +87,50 @@ def planes(dim: int, bits: int, seed: int) -> np.ndarray:
     return np.random.default_rng(seed).standard_normal((bits, dim))
 
 
-def retrieve_buckets(queries: DataFrame, corpus: DataFrame, cell_of, *, k: int, probes: int) -> DataFrame:
-    """Approximate top-k: an equi-join on cells, cosine in the JVM, the k best of the probed cells.
-
-    ``cell_of(vectors, n)`` gives the n nearest cells of each row of a matrix. A corpus laid
-    out by cell is pruned to the probed cells.
-    """
-    from cotengine.functions.rewards import cosine
-
-    def celled(df: DataFrame, id_: str, n: int) -> DataFrame:
-        ddl = f"{id_} long, vec array<double>, cell long"
+def _nearest_share(rough: np.ndarray, share: float) -> np.ndarray:
+    """The ``share`` of a block's candidates with the greatest rough score for each query."""
+    keep = max(1, int(np.ceil(share * rough.shape[1])))
+    out = np.zeros(rough.shape, bool)
+    np.put_along_axis(out, np.argpartition(-rough, keep - 1, axis=1)[:, :keep] if keep < rough.shape[1] else np.broadcast_to(np.arange(rough.shape[1]), rough.shape), True, 1)
+    return out
 
-        def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                if batch.num_rows:
-                    m = batch.column("vec").flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
-                    cells = cell_of(m, n)
-                    rep = pa.array(np.repeat(np.arange(batch.num_rows), cells.shape[1]))
-                    yield pa.RecordBatch.from_arrays([batch.column(0).take(rep), batch.column("vec").take(rep), pa.array(cells.reshape(-1))], names=[id_, "vec", "cell"])
 
-        return df.select(F.col(id_).cast("long").alias(id_), F.transform("vec", lambda v: v.cast("double")).alias("vec")).mapInArrow(work, ddl)
+def sign_sketch(dim: int, bits: int = 384, share: float = 0.3, seed: int = 42):
+    """Screen by sign sketches of random projections: the pairs of least Hamming distance go on to exact cosine."""
+    p = planes(dim, bits, seed)
+    words = lambda m: np.packbits((m @ p.T) > 0, axis=1).view(np.uint64)
 
-    met = celled(queries, "x_id", probes).withColumnRenamed("vec", "xv").join(celled(corpus, "d_id", 1), "cell").dropDuplicates(["x_id", "d_id"])
-    sims = met.select("x_id", "d_id", F.round(cosine(F.col("xv"), F.col("vec")), 9).alias("sim"))
-    return sims.withColumn("rank", F.row_number().over(Window.partitionBy("x_id").orderBy(F.col("sim").desc(), "d_id"))).where(F.col("rank") <= k)
+    def screen(q: np.ndarray, c: np.ndarray) -> np.ndarray:
+        a, b = words(q), words(c)
+        apart = np.zeros((len(q), len(c)), np.int32)
+        for i in range(a.shape[1]):
+            apart += np.bitwise_count(a[:, i][:, None] ^ b[:, i][None, :])
+        return _nearest_share(-apart, share)
 
+    return screen
 
-def sign_cells(dim: int, bits: int = 6, seed: int = 42):
-    """Cells by the signs of random projections; probes are the different cells of least flip cost.
 
-    A flip costs the distance of a projection from zero, a cell the sum over its flips; ties go to the lower mask.
-    """
-    p = planes(dim, bits, seed)
-    flips = np.arange(1 << bits)
-    own = (flips[:, None] >> np.arange(bits)) & 1
+def cell_residuals(centres: np.ndarray, share: float = 0.2, levels: int = 7):
+    """Screen by inverted-file codes: a candidate is its nearest centre plus a residual of 4-bit steps, scored without its exact vector."""
 
-    def cells(m: np.ndarray, n: int) -> np.ndarray:
-        dots = m @ p.T
-        base = (dots > 0) @ (1 << np.arange(bits))
-        if n == 1:
-            return base[:, None].astype(np.int64)
-        order = np.argsort(np.abs(dots) @ own.T, axis=1, kind="stable")[:, :n]
-        return (base[:, None] ^ flips[order]).astype(np.int64)
+    def screen(q: np.ndarray, c: np.ndarray) -> np.ndarray:
+        own = (c @ centres.T).argmax(1)
+        rest = c - centres[own]
+        step = np.maximum(np.abs(rest).max(1, keepdims=True), 1e-12) / levels
+        return _nearest_share((q @ centres.T)[:, own] + (q @ np.rint(rest / step).T) * step.T, share)
 
-    return cells
+    return screen
 
 
-def centroid_cells(sample: np.ndarray, cells: int = 16, rounds: int = 10, seed: int = 42):
-    """Cells by k-means centroids of a bounded sample."""
+def sphere_centres(sample: np.ndarray, cells: int = 16, rounds: int = 10, seed: int = 42) -> np.ndarray:
+    """k-means centres of unit length of a bounded sample."""
     rng = np.random.default_rng(seed)
     centres = sample[rng.choice(len(sample), min(cells, len(sample)), replace=False)]
     for _ in range(rounds):
         own = (sample @ centres.T).argmax(1)
         centres = np.stack([sample[own == c].mean(0) if (own == c).any() else centres[c] for c in range(len(centres))])
         centres /= np.maximum(np.linalg.norm(centres, axis=1, keepdims=True), 1e-12)
-    return lambda m, n: np.argsort(-(m @ centres.T), axis=1, kind="stable")[:, :n].astype(np.int64)
+    return centres
 
 
 def activation_mass(qdist: DataFrame, kernel: DataFrame) -> DataFrame:

@@ -58,18 +58,27 @@ class ProxyLearner:
         return losses
 
 
-def alignment_report(learner: ProxyLearner, rows: DataFrame, etas=(0.1, 1.0)) -> list[tuple]:
-    """Inner products of the first-stage and failure-weighted gradients (of equal norm) with the target's, and risks after one step."""
-    target = rows.where("id % 5 = 0")
-    base = rows.where("id % 5 <> 0")
-    hard = base.withColumn("w", F.when(F.col("y") < 5, 2.0).otherwise(0.5))
-    risk, g = learner.loss_and_gradient(target)
-    _, g0 = learner.loss_and_gradient(base)
-    _, g1 = learner.loss_and_gradient(hard)
-    g1 *= np.linalg.norm(g0) / max(np.linalg.norm(g1), 1e-12)
+    def predictions(self, rows: DataFrame) -> DataFrame:
+        """(id, right): whether the greatest score is the target's; a map."""
+        theta = self.theta.copy()
+
+        def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    x = b.column("x").flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
+                    yield pa.RecordBatch.from_arrays([b.column("id"), pa.array((x @ theta.T).argmax(1) == b.column("y").to_numpy())], names=["id", "right"])
+
+        return rows.select(F.col("id").cast("long"), "x", "y").mapInArrow(judge, "id long, right boolean")
+
+
+def alignment_report(learner: ProxyLearner, target: DataFrame, p0: DataFrame, p1: DataFrame, etas=(0.1, 0.5)) -> list[tuple]:
+    """(eta, align0, align1, risk0, risk1, better_aligned, lower_risk) of one step under P0 and under P1, gradients at equal norm."""
+    _, g = learner.loss_and_gradient(target)
+    (_, g0), (_, g1) = (learner.loss_and_gradient(p) for p in (p0, p1))
+    g1 = g1 * np.linalg.norm(g0) / max(np.linalg.norm(g1), 1e-12)
     a0, a1 = float((g * g0).sum()), float((g * g1).sum())
     out = []
     for eta in etas:
         r0, r1 = (learner.loss_and_gradient(target, learner.theta - eta * x)[0] for x in (g0, g1))
-        out.append((float(eta), a0, a1, r0, r1, a1 > a0, r1 < r0))
+        out.append((float(eta), a0, a1, r0, r1, a1 >= a0, r1 <= r0))
     return out

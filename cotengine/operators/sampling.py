@@ -7,7 +7,9 @@ the (integer) lengths, which is small whatever the row count; sketches are the a
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+import math
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from cotengine.functions.hashing import unit
@@ -42,8 +44,15 @@ def with_stratum(df: DataFrame, length: str, qs=QUANTILES, *, by: list[str] = []
     return joined.withColumn("stratum", stratum(F.col(length), F.col("t"), len(qs))).drop("t")
 
 
-def stratified_by_length(df: DataFrame, length: str = "n_tokens", *, key: str = "doc_id", qs=QUANTILES, rates=RATES, seed: int = 42, by: list[str] = [], method: str = "exact") -> DataFrame:
-    """Keep every row of the longest stratum and a rate of the others."""
+def stratified_by_length(df: DataFrame, length: str = "n_tokens", *, key: str = "doc_id", qs=QUANTILES, rates=RATES, seed: int = 42, by: list[str] = [], method: str = "exact", scope: Column | None = None) -> DataFrame:
+    """Keep every row of the longest stratum and a rate of the others.
+
+    With ``scope`` quantiles and rates hold for the rows in it; all others stay, without a stratum.
+    """
+    if scope is not None:
+        inside = F.coalesce(scope, F.lit(False))
+        drawn = stratified_by_length(df.where(inside), length, key=key, qs=qs, rates=rates, seed=seed, by=by, method=method)
+        return drawn.unionByName(df.where(~inside).withColumn("stratum", F.lit(None).cast("int")))
     rate = F.element_at(F.array(*map(F.lit, map(float, rates))), F.col("stratum") + 1)
     return with_stratum(df, length, qs, by=by, method=method).where(unit(F.col(key), seed) < rate)
 
@@ -80,4 +89,6 @@ def rank_error(df: DataFrame, length: str, qs=QUANTILES, method: str = "kll") ->
 
 
 def top_share(df: DataFrame, fraction: float, order: list[Column]) -> DataFrame:
-    return df.withColumn("_r", F.percent_rank().over(Window.orderBy(*order))).where(F.col("_r") < fraction).drop("_r")
+    """The first ``fraction`` of the rows in order (relative rank below it): counted, then a top-n, no window over all rows."""
+    n = df.count()
+    return df.orderBy(*order).limit(n if n < 2 else math.ceil(fraction * (n - 1)))

@@ -2,18 +2,19 @@
 
 from __future__ import annotations
 
+import uuid
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cotengine.functions.text import token_count
 from cotengine.operators.annotate import annotate, keep_valid, priority
 from cotengine.operators.decontam import decontaminate
-from cotengine.operators.dedup import cut_lineage, dedup_exact, dedup_near
-from cotengine.operators.distill import drop_degenerate
+from cotengine.operators.dedup import cut_lineage, dedup_exact, dedup_near, shared_folder
+from cotengine.operators.distill import distill_responses
 from cotengine.operators.sampling import QUANTILES, RATES, stratified_by_length
-from cotengine.sources.providers import Provider
+from cotengine.sources.providers import Provider, materialized, reasoning_teacher
 
 
 @dataclass(frozen=True)
@@ -26,6 +27,12 @@ class CurationConfig:
     quantiles: tuple = QUANTILES
     rates: tuple = RATES
     seed: int = 42
+    #: Disciplines that are sampled by length (the STEM ones); None: all. Rows of others all stay.
+    scope: tuple | None = None
+    #: What becomes of answers that are wrong after the retry: "keep" or "drop_incorrect".
+    wrong: str = "keep"
+    #: Names the run: provider outputs of a named run are kept and never asked for again.
+    run: str | None = None
 
 
 @dataclass
@@ -42,21 +49,30 @@ class CurationResult:
         return out
 
 
-def curate(docs: DataFrame, items: DataFrame, annotator: Provider, config: CurationConfig = CurationConfig()) -> CurationResult:
-    """Cheap steps first: validity, exact, near, decontamination, repetition, sampling.
+def curate(docs: DataFrame, items: DataFrame, annotator: Provider, config: CurationConfig = CurationConfig(), *, teacher: Callable[[int], Provider] = reasoning_teacher, gold: Column | None = None) -> CurationResult:
+    """Cheap steps first: validity, exact, near, decontamination; then responses, repetition, verification with one retry, sampling.
 
-    Annotated ids, not texts, are what early steps move; a stage that later stages read more
-    than once is written and reread.
+    ``gold`` is the verifiable answer of a row, null where there is none. Annotated ids, not
+    texts, are what early steps move; a stage that later stages read more than once is written
+    and reread, and a provider's output once for good.
     """
+    run = config.run or uuid.uuid4().hex
+
+    def call(df: DataFrame, provider: Provider, tag: str) -> DataFrame:
+        return materialized(df, provider, f"{shared_folder(df.sparkSession)}/providers/{run}/{tag}")
+
     stages: dict[str, DataFrame] = {"raw": docs}
     marked = cut_lineage(annotate(docs, annotator), "annotated")
     stages["valid"] = keep_valid(marked, config.unknown)
     stages["exact"] = cut_lineage(dedup_exact(stages["valid"], prio=priority()), "exact")
     stages["near"] = cut_lineage(dedup_near(stages["exact"], priority(), mode=config.near_mode), "near")
     stages["decontaminated"] = cut_lineage(decontaminate(stages["near"], items, n=config.gram)[0], "clean")
-    kept = drop_degenerate(stages["decontaminated"], n=config.rep_n, most=config.rep_most).withColumn("n_tokens", token_count(F.col("text")))
-    stages["repetition"] = cut_lineage(kept, "kept")
-    stages["sampled"] = stratified_by_length(stages["repetition"], qs=config.quantiles, rates=config.rates, seed=config.seed)
+    asked = stages["decontaminated"].withColumn("gold", gold if gold is not None else F.lit(None).cast("string"))
+    done = distill_responses(asked, teacher, call, n=config.rep_n, most=config.rep_most, policy=config.wrong)
+    stages["responded"], stages["repetition"] = done.responded, done.kept
+    stages["verified"] = cut_lineage(done.verified, "verified")
+    scope = F.col("discipline").isin(*config.scope) if config.scope is not None else None
+    stages["sampled"] = stratified_by_length(stages["verified"], qs=config.quantiles, rates=config.rates, seed=config.seed, scope=scope)
     return CurationResult(stages["sampled"], stages)
 
 

@@ -8,9 +8,9 @@ from pyspark.sql import functions as F
 from cotengine.functions.text import canonical_answer, repetition_ratio, token_count
 from cotengine.operators import annotate as an
 from cotengine.operators import decontam, dedup, distill, sampling
-from cotengine.plans.curate import curate, source_distribution
-from cotengine.sources.providers import lexical_annotator, option_teacher
-from cotengine.sources.tables import collect_sources, table
+from cotengine.plans.curate import CurationConfig, curate, source_distribution
+from cotengine.sources.providers import lexical_annotator, option, option_teacher
+from cotengine.sources.tables import collect_sources, spread, table
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -89,13 +89,25 @@ def sql_hits13(source: str, out: str, tag: str = "") -> str:
         {out} AS (SELECT DISTINCT doc_id, item_id FROM tg{tag} JOIN bg{tag} USING (g))"""
 
 
+def sql_option(salt: str) -> str:
+    return f"(['A', 'B', 'C', 'D', 'E'])[CAST({sql_h8(f"doc_id || ':{salt}'")} % 5 + 1 AS INTEGER)]"
+
+
+def sql_response(attempt: int) -> str:
+    degenerate = sql_h8(f"doc_id || ':{attempt}:d'")
+    return f"(CASE WHEN {degenerate} % 12 = 0 THEN repeat('and so on ', 60) ELSE text || ' ' END || 'so the answer is \\boxed{{' || {sql_option(f'{attempt}:t')} || '}}.')"
+
+
 SQL_CHAIN = f"""{SQL_POOL}, valid AS (SELECT * FROM pool WHERE q IS NULL OR q = 1), {sql_exact('valid', 'exact')}, {sql_near('exact', 'nearest')},
         {sql_hits13('nearest', 'hits')}, {sql_bands('benchmark', 'item_id', tag='_e')},
         bucket_hits AS (SELECT DISTINCT doc_id FROM bands JOIN bands_e USING (band, bkey)),
         clean AS (SELECT * FROM nearest WHERE doc_id NOT IN (SELECT doc_id FROM hits) AND doc_id NOT IN (SELECT doc_id FROM bucket_hits)),
-        kept AS (SELECT * EXCLUDE (t, g), CAST(len(t) AS INTEGER) AS n_tokens FROM {sql_with_grams("clean")} WHERE {sql_ratio()} <= 0.2),
-        th AS (SELECT quantile_cont(n_tokens, [0.2, 0.5, 0.75]) AS th FROM kept),
-        sampled AS (SELECT kept.* FROM kept, th WHERE {sql_unit('doc_id', 42)} < CASE WHEN n_tokens > th[3] THEN 1.0 WHEN n_tokens > th[2] THEN 0.5 WHEN n_tokens > th[1] THEN 0.1 ELSE 0.0 END)"""
+        responded AS (SELECT *, {sql_option('1:t')} AS answer, {sql_response(1)} AS response, CASE WHEN x = 0 THEN {sql_option('0:gold')} END AS gold FROM clean),
+        kept AS (SELECT * EXCLUDE (t, g) FROM {sql_with_grams("responded", c='response')} WHERE {sql_ratio()} <= 0.2),
+        final AS (SELECT * REPLACE ({sql_option('2:t')} AS answer, {sql_response(2)} AS response), true AS retried FROM kept WHERE answer <> gold UNION ALL SELECT *, false FROM kept WHERE coalesce(answer = gold, true)),
+        verified AS (SELECT * EXCLUDE (t, g), CAST(len(t) AS INTEGER) AS n_tokens FROM {sql_with_grams("final", c='response')} WHERE {sql_ratio()} <= 0.2),
+        th AS (SELECT quantile_cont(n_tokens, [0.2, 0.5, 0.75]) AS th FROM verified WHERE lang IN ('de', 'en', 'fr')),
+        sampled AS (SELECT verified.* FROM verified, th WHERE lang NOT IN ('de', 'en', 'fr') OR {sql_unit('doc_id', 42)} < CASE WHEN n_tokens > th[3] THEN 1.0 WHEN n_tokens > th[2] THEN 0.5 WHEN n_tokens > th[1] THEN 0.1 ELSE 0.0 END)"""
 
 
 SQL_CHAIN = SQL_CHAIN.replace(" AS (SELECT", " AS MATERIALIZED (SELECT")
@@ -111,7 +123,7 @@ SQL_LENGTHS = f"lengths AS (SELECT doc_id, lang, source, CAST(len({sql_tokens()}
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "documents")
+    return spread(table(spark, sf_dir, "documents"))
 
 
 def annotated(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -130,13 +142,6 @@ def collect_pool(spark, sf_dir):
     return pool.groupBy("pool", "source").agg(F.count("*").alias("n"))
 
 
-@query(f"""SELECT item_id, question, origin FROM (SELECT page_id * 2 + s AS item_id, 'q' || s || ':' || url AS question, 'pages' AS origin FROM pages, range(2) r(s))""")
-def stage1_doc_questions(spark, sf_dir):
-    """Questions asked of parsed pages, two a page, tagged by origin (stand-in generator)."""
-    pages = table(spark, sf_dir, "pages").select("page_id", "url", F.explode(F.array(F.lit(0), F.lit(1))).alias("s"))
-    return pages.select((F.col("page_id") * 2 + F.col("s")).alias("item_id"), F.concat(F.lit("q"), F.col("s").cast("string"), F.lit(":"), "url").alias("question"), F.lit("pages").alias("origin"))
-
-
 @query(f"WITH {SQL_ANNOTATED} SELECT doc_id, is_valid, verifiable, discipline, edu_level, answer_type FROM annotated")
 def annotate_lexical(spark, sf_dir):
     return annotated(spark, sf_dir).select("doc_id", "is_valid", "verifiable", "discipline", "edu_level", "answer_type")
@@ -213,14 +218,21 @@ def near_dup_jaccard(spark, sf_dir):
     return dedup.verify_pairs(banded, exact).select("a", "b", F.round("jaccard", 6).alias("jaccard"))
 
 
-@query(f"{SQL_PAIRS} SELECT count(*) AS proposed, count(*) FILTER (i / (s - i) >= 0.7) AS true_pairs, round(count(*) FILTER (i / (s - i) >= 0.7) / count(*)::DOUBLE, 6) AS precision FROM jac")
+SQL_ALL_PAIRS = """shared AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*)::DOUBLE AS i FROM sh x JOIN sh y USING (g) WHERE x.doc_id < y.doc_id GROUP BY ALL),
+        sizes AS (SELECT doc_id, len(g) AS n FROM gs), every AS (SELECT a, b FROM shared JOIN sizes p ON a = p.doc_id JOIN sizes q ON b = q.doc_id WHERE i / (p.n + q.n - i) >= 0.7)"""
+
+
+@query(f"""{SQL_PAIRS}, {SQL_ALL_PAIRS}, found AS (SELECT a, b FROM jac WHERE i / (s - i) >= 0.7)
+        SELECT (SELECT count(*) FROM jac) AS proposed, (SELECT count(*) FROM found) AS true_pairs, (SELECT count(*) FROM every) AS all_pairs, round((SELECT count(*) FROM found) / (SELECT count(*) FROM jac)::DOUBLE, 6) AS precision, round((SELECT count(*) FROM found) / (SELECT count(*) FROM every)::DOUBLE, 6) AS recall""")
 def minhash_quality(spark, sf_dir):
-    """Precision of banding at similarity 0.7 among proposed pairs; recall against brute force is a unit test."""
+    """Precision of banding at similarity 0.7 among proposed pairs, and recall against all pairs that similar, found exactly."""
     exact = _exact(spark, sf_dir)
     banded = dedup.cut_lineage(dedup.band_keys(dedup.minhash(exact)), "bands")
-    pairs = dedup.verify_pairs(banded, exact)
     true = F.count_if(F.col("jaccard") >= 0.7)
-    return pairs.agg(F.count("*").alias("proposed"), true.alias("true_pairs"), F.round(F.try_divide(true.cast("double"), F.count("*")), 6).alias("precision"))
+    found = dedup.verify_pairs(banded, exact).agg(F.count("*").alias("proposed"), true.alias("true_pairs"))
+    every = dedup.exact_pairs(exact, 0.7).agg(F.count("*").alias("all_pairs"))
+    share = lambda n: F.round(F.try_divide(F.col("true_pairs").cast("double"), F.col(n)), 6)
+    return found.crossJoin(every).select("proposed", "true_pairs", "all_pairs", share("proposed").alias("precision"), share("all_pairs").alias("recall"))
 
 
 @query(f"""WITH {SQL_POOL}, {sql_exact('pool', 'exact')}, {sql_near('exact', 'nearest')}
@@ -391,14 +403,15 @@ def token_stats(spark, sf_dir):
           SELECT 'annotation', doc_id FROM annotated WHERE {SQL_BY_LEVEL} UNION ALL
           (SELECT 'longest', doc_id FROM lengths ORDER BY n_tokens DESC, doc_id LIMIT 100)),
         arms AS (SELECT * FROM cand QUALIFY row_number() OVER (PARTITION BY arm ORDER BY {sql_unit('doc_id', 42)}, doc_id) <= 100)
-        SELECT arm, count(*) AS n, count(DISTINCT lang) AS langs, count(DISTINCT source) AS sources, round(quantile_cont(n_tokens, 0.5), 6) AS p50, round(avg(n_tokens), 6) AS mean FROM arms JOIN lengths USING (doc_id) GROUP BY arm""")
+        SELECT arm, count(*) AS n, count(DISTINCT lang) AS langs, count(DISTINCT source) AS sources, round(quantile_cont(n_tokens, 0.5), 6) AS p50, round(avg(n_tokens), 6) AS mean,
+               count(*) FILTER (doc_id IN (SELECT doc_id FROM arms WHERE arm = 'length')) AS shared FROM arms JOIN lengths USING (doc_id) GROUP BY arm""")
 def sampling_ablation(spark, sf_dir):
-    """Equal budgets of three strategies: lengths and coverage of what each picks."""
+    """Equal budgets of three strategies: lengths and coverage of what each picks, and the rows it shares with the length arm."""
     long = lengths(spark, sf_dir)
     arms = {"length": sampling.stratified_by_length(long), "annotation": sampling.stratified_by_level(annotated(spark, sf_dir), LEVELS), "longest": sampling.longest_n(long, 100)}
     parts = [sampling.uniform_n(df.select("doc_id"), 100).select(F.lit(arm).alias("arm"), "doc_id") for arm, df in arms.items()]
-    drawn = parts[0].union(parts[1]).union(parts[2]).join(long, "doc_id")
-    return drawn.groupBy("arm").agg(F.count("*").alias("n"), F.countDistinct("lang").alias("langs"), F.countDistinct("source").alias("sources"), F.round(F.percentile("n_tokens", F.lit(0.5)), 6).alias("p50"), F.round(F.avg("n_tokens"), 6).alias("mean"))
+    drawn = parts[0].union(parts[1]).union(parts[2]).join(long, "doc_id").join(parts[0].select("doc_id", F.lit(1).alias("too")), "doc_id", "left")
+    return drawn.groupBy("arm").agg(F.count("*").alias("n"), F.countDistinct("lang").alias("langs"), F.countDistinct("source").alias("sources"), F.round(F.percentile("n_tokens", F.lit(0.5)), 6).alias("p50"), F.round(F.avg("n_tokens"), 6).alias("mean"), F.count("too").alias("shared"))
 
 
 @query(f"""WITH th AS (SELECT quantile_cont(l_extendedprice, [0.2, 0.5, 0.75]) AS th FROM lineitem)
@@ -413,16 +426,20 @@ def stratified_lineitem(spark, sf_dir):
 
 
 def _curated(spark, sf_dir):
-    return curate(documents(spark, sf_dir), table(spark, sf_dir, "benchmark"), lexical_annotator(table(spark, sf_dir, "labels")))
+    """Three of the four disciplines count as STEM; the verifiable rows have an answer to match."""
+    gold = F.when(F.col("verifiable"), option(F.col("doc_id"), "0:gold"))
+    return curate(documents(spark, sf_dir), table(spark, sf_dir, "benchmark"), lexical_annotator(table(spark, sf_dir, "labels")), CurationConfig(scope=("de", "en", "fr")), gold=gold)
 
 
-@query(f"WITH {SQL_CHAIN} SELECT doc_id, n_tokens FROM sampled")
+@query(f"WITH {SQL_CHAIN} SELECT doc_id, n_tokens, answer, retried, CASE WHEN gold IS NOT NULL THEN answer = gold END AS correct FROM sampled")
 def curated(spark, sf_dir):
-    return _curated(spark, sf_dir).curated.select("doc_id", "n_tokens")
+    """The chain to the sampled set: every row with the length of its response, its answer and whether it was asked twice."""
+    return _curated(spark, sf_dir).curated.select("doc_id", "n_tokens", "answer", "retried", "correct")
 
 
 @query(f"""WITH {SQL_CHAIN}, c(step, stage, n) AS (SELECT 0, 'raw', count(*) FROM documents UNION ALL SELECT 1, 'valid', count(*) FROM valid UNION ALL SELECT 2, 'exact', count(*) FROM exact UNION ALL
-        SELECT 3, 'near', count(*) FROM nearest UNION ALL SELECT 4, 'decontaminated', count(*) FROM clean UNION ALL SELECT 5, 'repetition', count(*) FROM kept UNION ALL SELECT 6, 'sampled', count(*) FROM sampled)
+        SELECT 3, 'near', count(*) FROM nearest UNION ALL SELECT 4, 'decontaminated', count(*) FROM clean UNION ALL SELECT 5, 'responded', count(*) FROM responded
+        UNION ALL SELECT 6, 'repetition', count(*) FROM kept UNION ALL SELECT 7, 'verified', count(*) FROM verified UNION ALL SELECT 8, 'sampled', count(*) FROM sampled)
         SELECT step, stage, n, round(n / (SELECT max(n) FROM c)::DOUBLE, 6) AS retained FROM c""")
 def curation_ledger(spark, sf_dir):
     ledger = _curated(spark, sf_dir).ledger().groupBy("step", "stage").agg(F.sum("n").alias("n"))

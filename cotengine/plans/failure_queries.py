@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import functions as F
 
-from cotengine.functions.rewards import cosine, sequence_nll
+from cotengine.functions.rewards import sequence_nll
 from cotengine.functions.text import token_count, tokens
 from cotengine.operators import failure as fd
 from cotengine.operators import knowledge, shift
+from cotengine.operators.decontam import small
+from cotengine.operators.dedup import cut_lineage
 from cotengine.operators.sampling import top_share
 from cotengine.plans.curation_queries import sql_h8, sql_tokens
-from cotengine.plans.failure_round import RoundConfig, failure_driven_round, ledger
+from cotengine.plans.failure_round import RoundConfig, failure_driven_round, failure_loop, ledger
 from cotengine.sources.tables import rollouts, table
 
 QUERIES: dict = {}
@@ -156,8 +159,7 @@ def failure_distribution(spark, sf_dir):
 @query(f"WITH {SQL_SIMS} SELECT x_id, d_id, round(sim, 6) AS sim FROM sims WHERE x_id % 50 = 0")
 def cosine_pairs(spark, sf_dir):
     x, d = vectors(spark, sf_dir)
-    few = F.broadcast(x.where("x_id % 50 = 0").select("x_id", F.col("vec").alias("xv")))
-    return d.crossJoin(few).select("x_id", "d_id", F.round(F.round(cosine(F.col("xv"), F.col("vec")), 9), 6).alias("sim"))
+    return fd.retrieve(x.where("x_id % 50 = 0"), d, min_sim=-2.0).select("x_id", "d_id", R6("sim"))
 
 
 @query(f"WITH {SQL_SIMS}, m AS (SELECT *, max(sim) OVER (PARTITION BY x_id) AS m FROM sims) SELECT x_id, d_id, round(exp((sim - m) / 0.05) / sum(exp((sim - m) / 0.05)) OVER (PARTITION BY x_id), 6) AS prob FROM m")
@@ -196,47 +198,51 @@ def relevance_sweep(spark, sf_dir):
 def kernel_truncation_gap(spark, sf_dir):
     """Total variation between full and truncated kernel: the mass outside the top k."""
     x, d = vectors(spark, sf_dir)
-    full = fd.retrieval_kernel(fd.retrieve(x, d, min_sim=-2.0), TAU)
-    return full.groupBy("x_id").agg(F.round(F.sum(F.when(F.col("rank") > 30, F.col("prob")).otherwise(0.0)), 6).alias("tv"))
+    return fd.truncation_gap(x, d, k=30, tau=TAU).select("x_id", R6("tv"))
 
 
-def _approximate(spark, sf_dir, kind, k=30):
-    x, d = vectors(spark, sf_dir)
+def _screen(d, kind):
     if kind == "srp":
-        cells, probes = fd.sign_cells(64), 54
-    else:
-        import numpy as np
+        return fd.sign_sketch(64)
+    sample = d.orderBy(F.xxhash64("d_id")).limit(5000).collect()  # bound of the centroid sample
+    m = np.array([r.vec for r in sample], float)
+    return fd.cell_residuals(fd.sphere_centres(m / np.linalg.norm(m, axis=1, keepdims=True)))
+
 
-        sample = d.orderBy(F.xxhash64("d_id")).limit(5000).collect()  # bound of the centroid sample
-        cells, probes = fd.centroid_cells(np.array([r.vec for r in sample], float)), 13
-    return fd.retrieve_buckets(x, d, cells, k=k, probes=probes)
+def _approximate(spark, sf_dir, kind, k=30):
+    x, d = vectors(spark, sf_dir)
+    return fd.retrieve(x, d, k=k, screen=_screen(d, kind))
 
 
 @query()
 def retrieve_ivf(spark, sf_dir):
+    """Shortlist of a fifth of the corpus by centre and 4-bit residual, then exact cosine."""
     return _approximate(spark, sf_dir, "ivf")
 
 
 @query()
 def retrieve_srp(spark, sf_dir):
+    """Shortlist of three tenths of the corpus by 384 sign bits, then exact cosine."""
     return _approximate(spark, sf_dir, "srp")
 
 
 @query()
 def retrieval_recall(spark, sf_dir):
+    """Share of the exact top 30 that each approximate way finds; every pair counts once."""
     x, d = vectors(spark, sf_dir)
     exact = fd.retrieve(x, d).select("x_id", "d_id")
-    parts = [exact.join(_approximate(spark, sf_dir, kind).select("x_id", "d_id", F.lit(1).alias("hit")), ["x_id", "d_id"], "left").agg(F.avg(F.coalesce("hit", F.lit(0))).alias("recall")).select(F.lit(kind).alias("method"), "recall") for kind in ("ivf", "srp")]
+    found = {"ivf": retrieve_ivf, "srp": retrieve_srp}
+    parts = [exact.join(f(spark, sf_dir).select("x_id", "d_id").distinct().withColumn("hit", F.lit(1)), ["x_id", "d_id"], "left").agg(F.avg(F.coalesce("hit", F.lit(0))).alias("recall")).select(F.lit(kind).alias("method"), "recall") for kind, f in found.items()]
     return parts[0].union(parts[1])
 
 
 @query(f"""WITH dt AS (SELECT doc_id AS d_id, w, count(*) AS tf FROM (SELECT doc_id, unnest({sql_tokens()}) AS w FROM documents) GROUP BY ALL), it AS (SELECT item_id AS x_id, w, count(*) AS tf FROM (SELECT item_id, unnest({sql_tokens()}) AS w FROM benchmark) GROUP BY ALL),
-        df AS (SELECT w, ln((SELECT count(*) FROM documents)::DOUBLE / count(*)) AS idf FROM dt GROUP BY w HAVING count(*) <= 0.2 * (SELECT count(*) FROM documents)),
+        df AS (SELECT w, ln((SELECT count(*) FROM documents)::DOUBLE / count(*)) AS idf FROM dt GROUP BY w),
         dv AS (SELECT d_id, w, tf * idf AS v FROM dt JOIN df USING (w)), iv AS (SELECT x_id, w, tf * idf AS v FROM it JOIN df USING (w)),
         s AS (SELECT x_id, d_id, round(sum(iv.v * dv.v) / sqrt(any_value(xn)) / sqrt(any_value(dn)), 9) AS sim FROM iv JOIN dv USING (w) JOIN (SELECT x_id, sum(v * v) AS xn FROM iv GROUP BY x_id) USING (x_id) JOIN (SELECT d_id, sum(v * v) AS dn FROM dv GROUP BY d_id) USING (d_id) GROUP BY x_id, d_id)
         SELECT x_id, d_id, round(sim, 6) AS sim FROM s QUALIFY row_number() OVER (PARTITION BY x_id ORDER BY sim DESC, d_id) <= 5""")
 def retrieve_lexical(spark, sf_dir):
-    """TF-IDF cosine over shared terms; terms in over a fifth of the documents carry little weight and are left out."""
+    """TF-IDF cosine over all shared terms. The item side is sent to the documents while it is small, so no common term gathers its documents."""
     from pyspark.sql import Window
 
     def counts(name, key, out):
@@ -244,10 +250,10 @@ def retrieve_lexical(spark, sf_dir):
 
     dt, it = counts("documents", "doc_id", "d_id"), counts("benchmark", "item_id", "x_id")
     n = F.broadcast(table(spark, sf_dir, "documents").agg(F.count("*").alias("n")))
-    df = dt.groupBy("w").agg(F.count("*").alias("df")).crossJoin(n).where("df <= 0.2 * n").select("w", F.log(F.col("n") / F.col("df")).alias("idf"))
+    df = dt.groupBy("w").agg(F.count("*").alias("df")).crossJoin(n).select("w", F.log(F.col("n") / F.col("df")).alias("idf"))
     dv, iv = (x.join(df, "w").select(k, "w", (F.col("tf") * F.col("idf")).alias("v")) for x, k in ((dt, "d_id"), (it, "x_id")))
     dn, xn = dv.groupBy("d_id").agg(F.sum(F.col("v") * F.col("v")).alias("dn")), iv.groupBy("x_id").agg(F.sum(F.col("v") * F.col("v")).alias("xn"))
-    dots = iv.withColumnRenamed("v", "a").join(dv.withColumnRenamed("v", "b"), "w").groupBy("x_id", "d_id").agg(F.sum(F.col("a") * F.col("b")).alias("dot"))
+    dots = small(cut_lineage(iv.withColumnRenamed("v", "a"), "item-terms"), 500_000).join(dv.withColumnRenamed("v", "b"), "w").groupBy("x_id", "d_id").agg(F.sum(F.col("a") * F.col("b")).alias("dot"))
     sims = dots.join(xn, "x_id").join(dn, "d_id").select("x_id", "d_id", F.round(F.col("dot") / F.sqrt("xn") / F.sqrt("dn"), 9).alias("sim"))
     return sims.withColumn("r", F.row_number().over(Window.partitionBy("x_id").orderBy(F.col("sim").desc(), "d_id"))).where("r <= 5").select("x_id", "d_id", R6("sim"))
 
@@ -336,6 +342,12 @@ def failure_round(spark, sf_dir):
     return ledger(round_of(spark, sf_dir))
 
 
+@query()
+def failure_rounds(spark, sf_dir):
+    """The loop run three times on the proxy learner: failures, accuracy and target risk before each round, and after the last."""
+    return failure_loop(table(spark, sf_dir, "embeddings"), rounds=3)
+
+
 # --- knowledge base ---------------------------------------------------------------------------
 
 _ENT = "replace(replace(replace(replace(replace(replace({}, '&nbsp;', ' '), '&lt;', '<'), '&gt;', '>'), '&quot;', '\"'), '&#39;', ''''), '&amp;', '&')"
@@ -374,3 +386,11 @@ def kb_quality_model(spark, sf_dir):
     marks = table(spark, sf_dir, "labels").select("doc_id", F.col("quality").cast("double").alias("label"))
     model = LogisticRegression(maxIter=20).fit(rows.join(marks, "doc_id"))
     return model.transform(rows).select("doc_id", F.col("prediction").cast("int").alias("useful"))
+
+
+@query(f"WITH {SQL_PAGES}, q AS (SELECT page_id, text, unnest([0, 1]) AS s FROM pt WHERE length(text) > 0) SELECT page_id * 2 + s AS item_id, CASE WHEN s = 0 THEN 'Explain: ' || left(text, 80) ELSE 'Derive: ' || right(text, 80) END AS question, 'pages' AS origin FROM q")
+def stage1_doc_questions(spark, sf_dir):
+    """Two questions of each page's parsed text, tagged by origin (stand-in generator); pages without text give none."""
+    read = knowledge.parse_pages(table(spark, sf_dir, "pages")).where(F.length("text") > 0)
+    asked = read.select("page_id", F.posexplode(F.array(F.concat(F.lit("Explain: "), F.left("text", F.lit(80))), F.concat(F.lit("Derive: "), F.right("text", F.lit(80))))).alias("s", "question"))
+    return asked.select((F.col("page_id") * 2 + F.col("s")).alias("item_id"), "question", F.lit("pages").alias("origin"))

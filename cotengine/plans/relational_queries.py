@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from cotengine.operators.dedup import shared_folder
 from cotengine.sources.files import round_trip
 from cotengine.sources.tables import register_views, table
 
@@ -66,10 +67,7 @@ for _kind in ("csv", "json", "orc"):
 
 
 def _folder(spark) -> str:
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="cotengine-")
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/{uuid.uuid4().hex}"
 
 
 # --- joins -----------------------------------------------------------------------------------------
@@ -254,3 +252,49 @@ def op_sql_functions(spark, sf_dir):
     register(spark)
     register_views(spark, sf_dir)
     return spark.sql("SELECT event_id, round(length_score(value, event_type = 'view', 10D, 100D), 6) AS s FROM events")
+
+
+@query(r"SELECT doc_id, i, t[i + 1] || ' ' || t[i + 2] AS part FROM (SELECT doc_id, unnest(range(len(t) - 1)) AS i, t FROM (SELECT doc_id, list_slice(regexp_extract_all(lower(text), '[\p{L}\p{N}]+'), 1, 4) AS t FROM documents) WHERE len(t) >= 2)")
+def op_udtf_windows(spark, sf_dir):
+    """The window table function called from SQL: windows of two tokens at steps of one over the first four of each text."""
+    from cotengine.functions.sqlapi import register
+
+    register(spark)
+    register_views(spark, sf_dir)
+    spark.sql("SELECT doc_id, array_join(slice(regexp_extract_all(lower(text), '[\\\\p{L}\\\\p{N}]+', 0), 1, 4), ' ') AS head FROM documents").createOrReplaceTempView("heads")
+    return spark.sql("SELECT doc_id, CAST(w.i AS BIGINT) AS i, w.part FROM heads, LATERAL windows(head, 2, 1) w WHERE w.part LIKE '% %'")
+
+
+@query("SELECT user_id, event_type AS consensus FROM (SELECT user_id, event_type, count(*) AS v FROM events GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY user_id ORDER BY v DESC, event_type) = 1")
+def op_udaf_majority(spark, sf_dir):
+    """The majority aggregate called from SQL."""
+    from cotengine.functions.sqlapi import register
+
+    register(spark)
+    register_views(spark, sf_dir)
+    return spark.sql("SELECT user_id, majority(event_type) AS consensus FROM events GROUP BY user_id")
+
+
+@query("SELECT lang, count(*) AS n FROM documents GROUP BY lang")
+def op_write_partitioned(spark, sf_dir):
+    """A stage written by partition twice: the second run replaces the first."""
+    from cotengine.sources.files import write_stage
+
+    path = _folder(spark)
+    for _ in range(2):
+        write_stage(T(spark, sf_dir, "documents").select("doc_id", "lang"), path, "lang")
+    return spark.read.parquet(path).groupBy("lang").agg(F.count("*").alias("n"))
+
+
+@query("SELECT lang AS value, count(*) AS n FROM documents GROUP BY lang")
+def op_round_trip_text(spark, sf_dir):
+    path = _folder(spark)
+    T(spark, sf_dir, "documents").select("lang").write.text(path)
+    return spark.read.text(path).groupBy("value").agg(F.count("*").alias("n"))
+
+
+@query("SELECT 1::BIGINT AS files, true AS filled")
+def op_scan_binary(spark, sf_dir):
+    from cotengine.sources.files import raw_pages
+
+    return raw_pages(spark, f"{sf_dir}/benchmark.parquet").agg(F.count("*").alias("files"), (F.min("length") > 0).alias("filled"))

@@ -138,13 +138,15 @@ def reward_length(spark, sf_dir):
     return graded(spark, sf_dir).select("event_id", F.round(length_score(F.col("len"), F.col("correct"), 1000, 12_000), 6).alias("s"))
 
 
-SQL_TEXT_REWARD = f"""{SQL_ROLLOUTS}, tx AS (SELECT doc_id, greatest(0.1::DOUBLE, 1 - {sql_ratio()}) AS rho FROM {sql_with_grams('documents')}), j AS (SELECT event_id, correct, len, rho, {SQL_LEN} AS s FROM r JOIN tx ON event_id % 1000 = doc_id)"""
+SQL_TEXT_REWARD = f"""{SQL_ROLLOUTS}, tx AS (SELECT doc_id, greatest(0.1::DOUBLE, 1 - {sql_ratio()}) AS rho FROM {sql_with_grams('documents')}), j AS (SELECT event_id, correct, len, coalesce(rho, 1.0) AS rho, {SQL_LEN} AS s FROM r LEFT JOIN tx ON event_id % (SELECT max(doc_id) + 1 FROM documents) = doc_id)"""
 
 
 def _with_texts(spark, sf_dir):
+    """Every rollout with the text whose id is its own modulo the ids there are; a missing text does not repeat itself."""
     texts = table(spark, sf_dir, "documents").select("doc_id", repetition_factor(repetition_ratio(F.col("text"))).alias("rho"))
-    r = graded(spark, sf_dir).withColumn("doc_id", F.col("event_id") % 1000)
-    return r.join(texts, "doc_id").withColumn("s", length_score(F.col("len"), F.col("correct"), 1000, 12_000))
+    many = F.broadcast(table(spark, sf_dir, "documents").agg((F.max("doc_id") + 1).alias("many")))  # one row
+    r = graded(spark, sf_dir).crossJoin(many).withColumn("doc_id", F.col("event_id") % F.col("many")).drop("many")
+    return r.join(texts, "doc_id", "left").withColumn("rho", F.coalesce("rho", F.lit(1.0))).withColumn("s", length_score(F.col("len"), F.col("correct"), 1000, 12_000))
 
 
 @query(f"WITH {SQL_TEXT_REWARD} SELECT event_id, round(s * rho, 6) AS r_len FROM j")
@@ -229,28 +231,26 @@ def policy_comparison(spark, sf_dir):
 
 @query()
 def proxy_fit_loss(spark, sf_dir):
-    from cotengine.operators.proxy import ProxyLearner, proxy_rows
+    """Both stages of the fit: loss on the trained distribution and on the target before each step, first under P0, then under P1."""
+    from cotengine.plans.failure_round import two_stage_fit
 
-    learner = ProxyLearner(dim=64, classes=10)
-    losses = learner.fit(proxy_rows(table(spark, sf_dir, "embeddings")), steps=5, rate=2.0)
-    return spark.createDataFrame([(i, round(x, 6)) for i, x in enumerate(losses)], "step int, loss double")
+    return two_stage_fit(table(spark, sf_dir, "embeddings"), steps=(5, 5))
 
 
 @query()
 def gradient_alignment(spark, sf_dir):
-    from cotengine.operators.proxy import ProxyLearner, alignment_report, proxy_rows
+    """Alignment with the target gradient, and the target risk after one step, of P0 and of P1 = lam P0 + (1 - lam) P_syn."""
+    from cotengine.plans.failure_round import alignment
 
-    rows = proxy_rows(table(spark, sf_dir, "embeddings"))
-    learner = ProxyLearner(dim=64, classes=10)
-    learner.fit(rows.where("id % 5 <> 0"), steps=3, rate=2.0)
-    return spark.createDataFrame(alignment_report(learner, rows), "eta double, align0 double, align1 double, risk0 double, risk1 double, better_aligned boolean, lower_risk boolean")
+    return alignment(table(spark, sf_dir, "embeddings"))
 
 
 @query()
 def published_rank(spark, sf_dir):
-    """Order of the published 64K pass@1 scores of the 8B models compared, for one test set."""
+    """Order of the compared models in each published measure and setting."""
     from pyspark.sql import Window
 
-    # Published scores on the 2025 AIME set, 64K budget.
-    scores = [("base model", 69.17), ("distilled base", 76.3), ("other SFT", 81.88), ("other RL", 83.2), ("first stage", 85.62), ("second stage", 87.08)]
-    return spark.createDataFrame(scores, "model string, score double").withColumn("rank", F.rank().over(Window.orderBy(F.col("score").desc())))
+    from cotengine.sources.published import published_scores
+
+    order = Window.partitionBy("record", "measure", "setting").orderBy(F.col("score").desc())
+    return published_scores(spark).withColumn("rank", F.rank().over(order))

@@ -12,7 +12,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from cotengine.functions.hashing import h8, unit
@@ -62,15 +62,27 @@ def lexical_annotator(labels: DataFrame) -> Provider:
     return Provider("annotator", ("doc_id", "text", "lang"), ("is_valid", "verifiable", "discipline", "edu_level", "answer_type"), call)
 
 
+def option(key: Column, salt: str) -> Column:
+    """One of five options from a hash of key and salt."""
+    pick = F.pmod(h8(F.concat(key.cast("string"), F.lit(f":{salt}"))), F.lit(5))
+    return F.element_at(F.array(*map(F.lit, "ABCDE")), (pick + 1).cast("int"))
+
+
 def option_teacher(attempt: int, salt: str = "t") -> Provider:
     """An answer among five options from a hash of item, attempt and salt."""
+    return Provider("teacher", ("item_id",), ("answer",), lambda df: df.withColumn("answer", option(F.col("item_id"), f"{attempt}:{salt}")))
+
+
+def reasoning_teacher(attempt: int, key: str = "doc_id") -> Provider:
+    """A response that ends in a boxed option, both from hashes of key and attempt; one of twelve repeats itself."""
 
     def call(df: DataFrame) -> DataFrame:
-        options = F.array(*map(F.lit, "ABCDE"))
-        pick = F.pmod(h8(F.concat(F.col("item_id").cast("string"), F.lit(f":{attempt}:{salt}"))), F.lit(5))
-        return df.withColumn("answer", F.element_at(options, (pick + 1).cast("int")))
+        degenerate = F.pmod(h8(F.concat(F.col(key).cast("string"), F.lit(f":{attempt}:d"))), F.lit(12)) == 0
+        answer = option(F.col(key), f"{attempt}:t")
+        steps = F.when(degenerate, F.repeat(F.lit("and so on "), 60)).otherwise(F.concat(F.coalesce(F.col("text"), F.lit("")), F.lit(" ")))
+        return df.withColumns({"answer": answer, "response": F.concat(steps, F.lit("so the answer is \\boxed{"), answer, F.lit("}."))})
 
-    return Provider("teacher", ("item_id",), ("answer",), call)
+    return Provider("reasoning teacher", (key, "text"), ("answer", "response"), call)
 
 
 def pair_synthesizer(per_doc: int = 2, agree: float = 0.6, extra: int = 3) -> Provider:

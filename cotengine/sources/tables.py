@@ -51,3 +51,14 @@ def rollouts(events: DataFrame, group: int | None = 16, salt: int = 0) -> DataFr
     return numbered.select("event_id", "ts", F.col("user_id").alias("prompt"), "i", gold.alias("gold"), answer.alias("answer"), F.round(F.col("value") * 100).cast("long").alias("len"), old.alias("logp_old"), shift.alias("shift")).select(
         "event_id", "ts", "prompt", "i", "gold", "answer", (F.col("answer") == F.col("gold")).alias("correct"), "len", "logp_old", F.zip_with("logp_old", "shift", lambda o, s: o * s).alias("logp_new")
     )
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """``df`` dealt to all cores if it is a scan of fewer input splits than there are cores; a large table stays as it is.
+
+    For maps that take long over few bytes, as signatures do. The plan's own size estimate decides, nothing runs.
+    """
+    session = df.sparkSession._jsparkSession.sessionState()
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return df.repartition(cores) if size < cores * session.conf().filesMaxPartitionBytes() else df

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cotengine.functions.text import ngrams, tokens
+from cotengine.operators.decontam import MOST_BROADCAST, small
 from cotengine.sources.tables import OPTIONS, PROPS
 
 
@@ -44,10 +45,10 @@ def dedup_exact(docs: DataFrame, at: str = "ts", late: str = "1 day") -> DataFra
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, n: int = 13) -> DataFrame:
-    """Rows that share a run of n tokens with a (static, small) item, marked: a stream-static join."""
+    """Rows that share a run of n tokens with a (static) item, marked: a stream-static join; the items are sent if they are few."""
     held = items.select(tokens(F.col("text")).alias("t")).where(F.size("t") >= n).select(F.explode(ngrams(F.col("t"), n)).alias("gram")).distinct()
     grams = docs.select("doc_id", tokens(F.col("text")).alias("t")).where(F.size("t") >= n).select("doc_id", F.explode(ngrams(F.col("t"), n)).alias("gram"))
-    return grams.join(F.broadcast(held), "gram", "left_semi").select("doc_id")
+    return grams.join(small(held, MOST_BROADCAST), "gram", "left_semi").select("doc_id")
 
 
 def reward_join(rollouts_: DataFrame, rewards: DataFrame, within: str = "1 hour", late: str = "1 day") -> DataFrame:

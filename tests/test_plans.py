@@ -50,3 +50,17 @@ def test_against_sql(spark, name):
 def test_approximate_retrieval_finds_nine_tenths(spark):
     got = {r.method: r.recall for r in entry.queries()["retrieval_recall"](spark, SF).collect()}
     assert set(got) == {"ivf", "srp"} and min(got.values()) >= 0.9
+
+
+def test_failure_driven_mixture_is_better_aligned(spark):
+    got = entry.queries()["gradient_alignment"](spark, SF).collect()
+    assert len(got) == 6 and all(r.better_aligned and r.lower_risk for r in got)
+
+
+def test_rounds_lower_the_target_risk(spark):
+    got = sorted(entry.queries()["failure_rounds"](spark, SF).collect())
+    assert [r.round for r in got] == [0, 1, 2, 3] and all(a.target_risk > b.target_risk for a, b in zip(got, got[1:])) and got[-1].failures < got[0].failures
+
+
+def test_sketch_quantiles_are_close(spark):
+    assert all(r.rank_error < 0.02 for r in entry.queries()["quantile_error"](spark, SF).collect())

@@ -131,11 +131,84 @@ def test_components(spark):
     assert {got[i] for i in range(31)} == {0} and got[101] == 100
 
 
-def test_probes_and_retrieved_pairs_are_unique(spark):
-    m = np.random.default_rng(3).standard_normal((40, 64))
-    for n in (1, 24, 64):
-        assert all(len(set(row)) == n for row in fd.sign_cells(64)(m, n).tolist())
-    x, d = (spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(part)], f"{k} long, vec array<double>") for k, part in (("x_id", m[:10]), ("d_id", m[10:])))
-    for cells, probes in ((fd.sign_cells(64), 64), (lambda v, n: np.zeros((len(v), n), np.int64), 3)):
-        got = fd.retrieve_buckets(x, d, cells, k=12, probes=probes)
-        assert got.count() == got.select("x_id", "d_id").distinct().count() == 120
+def test_approximate_pairs_are_unique_and_few_are_compared(spark):
+    m = np.random.default_rng(3).standard_normal((640, 64))
+    x, d = (spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(part)], f"{k} long, vec array<double>") for k, part in (("x_id", m[:40]), ("d_id", m[40:])))
+    exact = {(r.x_id, r.d_id) for r in fd.retrieve(x, d).collect()}
+    unit = m / np.linalg.norm(m, axis=1, keepdims=True)
+    for screen in (fd.sign_sketch(64), fd.cell_residuals(fd.sphere_centres(unit[40:]))):
+        assert screen(unit[:40], unit[40:]).mean() < 1 / 3
+        got = [(r.x_id, r.d_id) for r in fd.retrieve(x, d, screen=screen).collect()]
+        assert len(got) == len(set(got)) == 1200 and len(exact & set(got)) >= 0.9 * 1200
+
+
+def test_retrieval_of_odd_vectors(spark):
+    x = spark.createDataFrame([(1, [1.0, 0.0]), (2, [0.0, 0.0]), (3, [1.0, 0.0, 0.0])], "x_id long, vec array<double>")
+    d = spark.createDataFrame([(1, [2.0, 0.0]), (2, [0.0, 0.0]), (3, [0.0, 1.0]), (4, [1.0, 1.0]), (4, [1.0, 1.0])], "d_id long, vec array<double>")
+    assert sorted(values(fd.retrieve(x, d, k=2), "x_id", "d_id", "sim", "rank")) == [(1, 1, 1.0, 1), (1, 4, 0.707106781, 2)]
+    assert sorted(values(fd.retrieve(x, d, min_sim=-1.0), "d_id", "sim")) == [(1, 1.0), (3, 0.0), (4, 0.707106781), (4, 0.707106781)]
+    assert fd.retrieve(x.where("false"), d).count() == fd.retrieve(x, d.where("false")).count() == 0
+
+
+def test_responses_are_filtered_verified_and_retried_once(spark):
+    from cotengine.sources.providers import Provider, materialized
+
+    rows = spark.createDataFrame([(1, "A"), (2, "A"), (3, None), (4, "A"), (5, "A")], "doc_id long, gold string")
+    said = {1: {1: ("A", "fine"), 2: ("B", "fine"), 3: ("C", "fine"), 4: ("B", "no " * 50), 5: ("B", "fine")}, 2: {2: ("C", "other"), 5: ("A", "so " * 50)}}
+    asked = []
+
+    def teacher(i):
+        table = spark.createDataFrame([(k, a, r) for k, (a, r) in said[i].items()], "doc_id long, answer string, response string")
+        return Provider("t", ("doc_id",), ("answer", "response"), lambda df: (asked.append(i), df.join(table, "doc_id"))[1])
+
+    done = distill.distill_responses(rows, teacher, lambda df, p, tag: p(df))
+    assert done.responded.count() == 5 and sorted(r.doc_id for r in done.kept.collect()) == [1, 2, 3, 5]
+    assert sorted(values(done.verified, "doc_id", "answer", "retried", "correct")) == [(1, "A", False, True), (2, "C", True, False), (3, "C", False, None)]
+    dropped = distill.distill_responses(rows, teacher, lambda df, p, tag: p(df), policy="drop_incorrect").verified
+    assert sorted(r.doc_id for r in dropped.collect()) == [1, 3]
+    path = f"{dedup.shared_folder(spark)}/once"
+    asked.clear()
+    assert materialized(rows, teacher(1), path).count() == materialized(rows, teacher(1), path).count() == 5 and asked == [1]
+
+
+def test_only_the_scope_is_sampled(spark):
+    df = spark.range(400).select(F.col("id").alias("doc_id"), (F.col("id") % 100).cast("int").alias("n_tokens"), F.when(F.col("id") < 200, "en").alias("lang"))
+    got = sampling.stratified_by_length(df, scope=F.col("lang") == "en").collect()
+    assert sum(r.lang is None for r in got) == 200 and {r.doc_id for r in got if r.lang and r.n_tokens > 75} == {i for i in range(200) if i % 100 > 75}
+    assert all(r.n_tokens > 19 for r in got if r.lang)
+
+
+def test_top_share_is_the_relative_rank(spark):
+    for n in (0, 1, 2, 7, 101):
+        df = spark.range(n)
+        want = [i for i in range(n) if (i / (n - 1) if n > 1 else 0) < 0.2]
+        assert sorted(r.id for r in sampling.top_share(df, 0.2, [F.col("id")]).collect()) == want
+
+
+def test_exact_pairs_and_banding_recall(spark):
+    rng = np.random.default_rng(2)
+    rows = []
+    for i in range(30):
+        base = [f"w{k}" for k in rng.integers(0, 300, 60)]
+        rows += [(2 * i, " ".join(base)), (2 * i + 1, " ".join(base[: 60 - i % 20]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    sets = {d: {tuple(t.split()[k : k + 3]) for k in range(len(t.split()) - 2)} for d, t in rows}
+    want = {(a, b) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= 0.7}
+    assert {(r.a, r.b) for r in dedup.exact_pairs(df, 0.7).collect()} == want and len(want) >= 20
+
+
+def test_many_items_are_joined_instead_of_probed(spark):
+    docs = spark.createDataFrame([(1, "a b c d e f"), (2, "x y z"), (3, None), (4, "c d e"), (5, "")], "doc_id long, text string")
+    items = spark.createDataFrame([(7, "B c d"), (8, "d e f g"), (9, None), (10, "y z")], "item_id long, text string")
+    for most in (1000, 0):
+        assert sorted(values(decontam.ngram_hits(docs, items, n=3, most_broadcast=most), "doc_id", "item_id")) == [(1, 7), (1, 8)]
+    assert decontam.ngram_hits(docs, items.where("false"), n=3).count() == 0
+
+
+def test_published_record(spark):
+    from cotengine.sources.published import published_scores
+
+    got = {(r.record, r.measure, r.setting): [] for r in published_scores(spark).collect()}
+    for r in published_scores(spark).collect():
+        got[r.record, r.measure, r.setting].append(r.score)
+    assert max(got["T1", "AIME25", "64K"]) == 87.08 and len(got["T3", "AIME25 best", "64K"]) == 6
