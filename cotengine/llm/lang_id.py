@@ -20,9 +20,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from cotengine.llm.blocks import blocks, rows, schema_of, utf8
+from cotengine.llm.store import materialize
 from cotengine.llm.words import mixed
 
-#: Bounds of the fitted model: texts and n-grams of each language, languages, places of the filter.
+#: Bounds of the fitted model: texts and n-grams of each language, languages of a filter word, places of the filter.
 SAMPLE, GRAMS, LANGUAGES, PLACES_BITS = 2000, 40_000, 64, 20
 SIZE, HASHES = 5, 3
 _LETTERS = np.zeros(256, bool)
@@ -56,23 +57,28 @@ def _places(h: np.ndarray, bits: int) -> list[np.ndarray]:
 
 class BitSlicedFilters:
     def __init__(self, grams: dict[str, np.ndarray], bits: int = PLACES_BITS):
-        """grams: the n-gram hashes of each language."""
+        """grams: the n-gram hashes of each language. A place has one word per ``LANGUAGES`` languages."""
         self.languages = sorted(grams)
-        if len(self.languages) > LANGUAGES:
-            raise ValueError(f"one filter word holds {LANGUAGES} languages")
         self.bits = bits
-        self.masks = np.zeros(1 << bits, next(t for n, t in ((8, np.uint8), (16, np.uint16), (32, np.uint32), (64, np.uint64)) if n >= len(self.languages)))
+        wide = next(t for n, t in ((8, np.uint8), (16, np.uint16), (32, np.uint32), (64, np.uint64)) if n >= min(LANGUAGES, len(self.languages)))
+        self.masks = [np.zeros(1 << bits, wide) for _ in range(0, len(self.languages), LANGUAGES)]
         for i, lang in enumerate(self.languages):
             for place in _places(grams[lang], bits):
-                self.masks[place] |= self.masks.dtype.type(1 << i)
-        self.false = np.array([((self.masks >> self.masks.dtype.type(i)) & self.masks.dtype.type(1)).mean() ** HASHES for i in range(len(self.languages))])
-
-    def holding(self, h: np.ndarray) -> np.ndarray:
-        """Mask of the languages whose filter holds each n-gram."""
-        first, *others = _places(h, self.bits)
-        out = self.masks[first]
-        for place in others:
-            out &= self.masks[place]
+                self.masks[i // LANGUAGES][place] |= wide(1 << i % LANGUAGES)
+        self.false = np.array([self._bit(self.masks[i // LANGUAGES], i).mean() ** HASHES for i in range(len(self.languages))])
+
+    @staticmethod
+    def _bit(words: np.ndarray, i: int) -> np.ndarray:
+        return (words >> words.dtype.type(i % LANGUAGES)) & words.dtype.type(1)
+
+    def holding(self, h: np.ndarray) -> list[np.ndarray]:
+        """Masks of the languages whose filter holds each n-gram."""
+        places, out = _places(h, self.bits), []
+        for masks in self.masks:
+            found = masks[places[0]]
+            for place in places[1:]:
+                found &= masks[place]
+            out.append(found)
         return out
 
     def shares(self, h: np.ndarray, starts: np.ndarray) -> np.ndarray:
@@ -80,7 +86,7 @@ class BitSlicedFilters:
         masks, many = self.holding(h), np.maximum(1, np.diff(starts))
         out = np.zeros((len(starts) - 1, len(self.languages)))
         for i in range(len(self.languages)):
-            hits = np.concatenate([[0], np.cumsum((masks >> masks.dtype.type(i)) & masks.dtype.type(1), dtype=np.int64)])
+            hits = np.concatenate([[0], np.cumsum(self._bit(masks[i // LANGUAGES], i), dtype=np.int64)])
             raw = (hits[starts[1:]] - hits[starts[:-1]]) / many
             out[:, i] = np.clip((raw - self.false[i]) / max(1e-9, 1 - self.false[i]), 0, 1)
         return out
@@ -89,9 +95,17 @@ class BitSlicedFilters:
 def fit(docs: DataFrame, *, sample: int = SAMPLE, grams: int = GRAMS, least: int = 2, lang: str = "lang", text: str = "text") -> BitSlicedFilters | None:
     """Filters from labelled rows (null languages and texts left out); None where there are none."""
     known = docs.where(F.col(lang).isNotNull() & F.col(text).isNotNull()).select(F.col(lang).alias("lang"), F.col(text).alias("text"))
-    order = Window.partitionBy("lang").orderBy("h", "tie")
-    chosen = known.select("lang", F.xxhash64("text").alias("h"), F.hash("text").alias("tie")).distinct().withColumn("r", F.row_number().over(order)).where(F.col("r") <= sample)
-    by = F.broadcast(chosen.select("lang", "h").distinct())  # at most ``sample`` rows for each of at most 64 languages
+    place = F.shiftrightunsigned("h", 1)
+    texts = materialize(known.select("lang", F.xxhash64("text").alias("h")).distinct(), "labelled-texts")
+    # Counts first: a hash threshold lets about the sample through, and only that little is ranked.
+    many = texts.groupBy("lang").agg(F.count("*").alias("n")).withColumn("most", F.lit(float(1 << 63)) * F.least(F.lit(1.0), (1.2 * sample + 100) / F.col("n"))).drop("n")
+    many = materialize(many, "languages")
+    names = sorted(r.lang for r in many.select("lang").collect())
+    if not names:
+        return None
+    near = texts.join(F.broadcast(many), "lang").where(place < F.col("most"))  # a row for each language
+    chosen = near.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(place, "h"))).where(F.col("r") <= sample).select("lang", "h")
+    by = F.broadcast(materialize(chosen, "sampled-texts"))  # at most ``sample`` rows of 64-bit hashes a language
     picked = known.withColumn("h", F.xxhash64("text")).join(by, ["lang", "h"], "left_semi").dropDuplicates(["lang", "h"])
     ddl = "lang string, gram long, n long"
     schema = schema_of(ddl)
@@ -101,20 +115,28 @@ def fit(docs: DataFrame, *, sample: int = SAMPLE, grams: int = GRAMS, least: int
             h, starts = text_grams(batch.column("text").to_pylist())
             langs = np.array(batch.column("lang").to_pylist(), object)
             own = np.repeat(np.arange(len(langs)), np.diff(starts))
+            order = np.lexsort((h, own))
+            own, h = own[order], h[order]
+            once = np.ones(len(h), bool)
+            once[1:] = (h[1:] != h[:-1]) | (own[1:] != own[:-1])
+            own, h = own[once], h[once]
             for lang in sorted(set(langs.tolist())):
-                mine = langs[own] == lang
-                pairs = np.unique(np.stack([own[mine].astype(np.uint64), h[mine]]), axis=1)[1] if mine.any() else np.zeros(0, np.uint64)
-                found, n = np.unique(pairs, return_counts=True)
+                found, n = np.unique(h[(langs == lang)[own]], return_counts=True)
                 yield rows(schema, [lang] * len(found), found.view(np.int64), n)
 
-    counted = picked.select("lang", "text").mapInArrow(count, ddl).groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
-    top = counted.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.col("n").desc(), "gram"))).where(F.col("r") <= grams).select("lang", "gram").toArrow()
-    names = sorted({r.lang for r in chosen.select("lang").distinct().collect()})
-    if not names:
-        return None
-    lang_of = np.array(top.column("lang").to_pylist(), object)
-    values = top.column("gram").to_numpy()
-    return BitSlicedFilters({name: values[lang_of == name].view(np.uint64) for name in names})
+    counted = materialize(picked.select("lang", "text").mapInArrow(count, ddl).groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(F.col("n") >= least), "gram-counts")
+    # The count that the least common n-gram taken has, from each language's histogram of counts (at most ``sample`` rows).
+    histogram = counted.groupBy("lang", "n").agg(F.count("*").alias("k")).withColumn("above", F.sum("k").over(Window.partitionBy("lang").orderBy(F.col("n").desc())) - F.col("k"))
+    last = histogram.where(F.col("above") < grams).groupBy("lang").agg(F.min("n").alias("last"), F.max_by("k", -F.col("n")).alias("k"), F.max("above").alias("above"))
+    part = F.least(F.lit(1.0), (1.2 * (grams - F.col("above")) + 100) / F.col("k"))
+    kept = counted.join(F.broadcast(materialize(last, "least-counts")), "lang").where((F.col("n") > F.col("last")) | ((F.col("n") == F.col("last")) & (F.shiftrightunsigned("gram", 1) < F.lit(float(1 << 63)) * part)))
+    top = kept.select("lang", "gram", "n").toArrow()  # about ``grams`` rows a language
+    lang_of, values, counts = np.array(top.column("lang").to_pylist(), object), top.column("gram").to_numpy().view(np.uint64), top.column("n").to_numpy()
+    model = {}
+    for name in names:
+        mine = np.flatnonzero(lang_of == name)
+        model[name] = values[mine[np.lexsort((values[mine], -counts[mine]))[:grams]]]
+    return BitSlicedFilters(model)
 
 
 def training_rows(docs: DataFrame, *, doc_id: str = "doc_id") -> Column:
