@@ -1,25 +1,20 @@
 """Exact top-k inner products by exhaustive term-at-a-time accumulation.
 
-A vector's component is a term and its quantised value the posting's weight. Each map task
-turns a block of candidates into postings (per term the rows with a non-zero weight), and
-for each query block scatters query weight × posting weight into a dense score array, one
-term after the other. Partition selection keeps k per query and block; a window merges them.
-Queries are taken in blocks of a fixed size, so what travels to the tasks never grows.
+A vector's component is a term and its quantised value the posting's weight. Candidates and
+queries are packed in blocks; where two blocks meet, postings per term (the rows with a non-zero
+weight) are scattered, query weight × posting weight, into a dense score array, one term after
+the other. Partition selection keeps k per query and task; a window merges them. The candidates
+are read once, however many queries there are, and no vector comes to the driver.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cotengine.llm.blocks import rows, schema_of
-
-_OUT = "query_id long, vec_id long, score long"
-_ROWS = 4096
+from cotengine.llm.store import materialize
+from cotengine.operators.vector_blocks import ROWS, best_matches, packed
 
 
 def quantise(vector: Column, scale: int = 1024) -> Column:
@@ -47,25 +42,6 @@ def accumulate(queries: np.ndarray, block: np.ndarray) -> np.ndarray:
     return scores
 
 
-def select(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
-    """Places of the k best of one query, ties to the smaller id; partition first, then sort what is left."""
-    if len(scores) > k:
-        least = np.partition(scores, len(scores) - k)[len(scores) - k]
-        above = np.flatnonzero(scores > least)
-        level = np.flatnonzero(scores == least)
-        if len(level) > k - len(above):
-            level = level[np.argpartition(ids[level], k - len(above) - 1)[: k - len(above)]]
-        keep = np.concatenate([above, level])
-    else:
-        keep = np.arange(len(scores))
-    return keep[np.lexsort((ids[keep], -scores[keep]))]
-
-
-def _matrix(column: pa.Array) -> np.ndarray:
-    flat = column.flatten().to_numpy(zero_copy_only=False)
-    return flat.reshape(len(column), -1)
-
-
 def top_k(vectors: DataFrame, queries: DataFrame, *, k: int = 10, vec_id: str = "vec_id", vector: str = "embedding", scale: int = 1024, query_block: int = 512) -> DataFrame:
     """Each query's k best of all other vectors: query_id, rank (from 1), vec_id, score.
 
@@ -75,71 +51,13 @@ def top_k(vectors: DataFrame, queries: DataFrame, *, k: int = 10, vec_id: str =
     it. Rows repeated under one id compete as one (the best score counts). Fewer than k
     candidates give fewer rows; empty tables give none.
     """
-    spark = vectors.sparkSession
 
     def ready(df: DataFrame) -> DataFrame:
         return df.select(F.col(vec_id).cast("long").alias("vec_id"), quantise(F.col(vector), scale).alias("w")).where("vec_id IS NOT NULL AND w IS NOT NULL")
 
-    asked, all_of = ready(queries), ready(vectors)
+    asked = materialize(ready(queries), "queries")
     n_blocks = max(1, -(-asked.count() // query_block))
-    schema = schema_of(_OUT)
-    dealt = asked.withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(n_blocks)))
-    parts = []
-    for b in range(n_blocks):
-        own = dealt.where(F.col("b") == b).select("vec_id", "w").toArrow()  # a hashed share of about query_block rows
-        by_size: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-        sizes = pa.compute.list_value_length(own.column("w")).to_numpy()
-        for d in np.unique(sizes).tolist():
-            mine = own.filter(pa.array(sizes == d))
-            by_size[d] = mine.column("vec_id").to_numpy(), _matrix(mine.column("w").combine_chunks())
-        if by_size:
-            parts.append(all_of.mapInArrow(_scorer(by_size, k, schema), _OUT))
-    if not parts:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    found = parts[0]
-    for p in parts[1:]:
-        found = found.union(p)
-    found = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
-    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
-    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
-
-
-def _scorer(by_size: dict, k: int, schema: pa.Schema):
-    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best: dict[int, tuple[np.ndarray, np.ndarray]] = {}  # of this task: at most k for each query
-        for batch in batches:
-            for at in range(0, batch.num_rows, _ROWS):
-                part = batch.slice(at, _ROWS)
-                sizes = pa.compute.list_value_length(part.column("w")).to_numpy(zero_copy_only=False)
-                for d, (q_ids, q) in by_size.items():
-                    mine = part.filter(pa.array(sizes == d))
-                    if not mine.num_rows:
-                        continue
-                    ids = mine.column("vec_id").to_numpy()
-                    scores = accumulate(q, _matrix(mine.column("w")))
-                    for i, q_id in enumerate(q_ids.tolist()):
-                        s, own = scores[i], ids
-                        if q_id in best and len(best[q_id][0]) >= k:
-                            near = s >= best[q_id][1][-1]
-                            s, own = s[near], own[near]
-                        apart = own != q_id
-                        s, own = s[apart], own[apart]
-                        if q_id in best:
-                            s, own = np.concatenate([best[q_id][1], s]), np.concatenate([best[q_id][0], own])
-                        if len(s):
-                            own, s = _one_each(own, s)
-                            keep = select(s, own, k)
-                            best[q_id] = own[keep], s[keep]
-        for q_id, (ids, s) in best.items():
-            yield rows(schema, np.full(len(ids), q_id), ids, s)
-
-    return score
-
-
-def _one_each(ids: np.ndarray, scores: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The best score of each id."""
-    order = np.lexsort((-scores, ids))
-    ids, scores = ids[order], scores[order]
-    first = np.ones(len(ids), bool)
-    first[1:] = ids[1:] != ids[:-1]
-    return ids[first], scores[first]
+    # Dealt out by number of blocks, so that a block is full: its rows meet a candidate block in one product.
+    asked = materialize(packed(asked.repartition(n_blocks), "vec_id", "w", query_block, "<i8"), "query-blocks")
+    found = best_matches(asked, packed(ready(vectors), "vec_id", "w", ROWS, "<i8"), lambda q, c: (accumulate(q, c), None), k=k, kind="<i8", ddl="long", apart=True)
+    return found.select(F.col("x").alias("query_id"), F.col("rank").cast("int").alias("rank"), F.col("d").alias("vec_id"), "score")
