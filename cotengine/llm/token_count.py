@@ -1,18 +1,20 @@
 """Token counts by a compiled finite-state transducer.
 
 Layer 1 is the pre-tokeniser as a local rule over character kinds, so word starts come from
-array comparisons. Layer 2 is a deterministic transducer over symbols: a state stands for the
-prefix of a word, a transition that leaves a word emits that word's token count. It is
-compiled lazily: words that come up get their states and their exact count from the tokenizer
-library, up to a fixed number of states; a word without states runs into a dead state, and its
-count comes from the worker's memory of words or the library. So results never depend on what
-was compiled.
+array comparisons. Layer 2 is a deterministic transducer compiled from the tokenizer's merges
+(``merge_rules``): a state is the prefix of a word and knows the prefix's tokens, a transition
+within a word emits the difference, one that leaves a word emits what its end adds. The sum over
+a word telescopes to the count at its end. States are compiled lazily, for words that come up,
+up to a fixed number; a word without states runs into a dead state, and its count comes from the
+worker's memory of words or the tokenizer library, which also checks each word that is
+compiled. So results never depend on what was compiled.
 
 A block of text is cut in chunks of fixed length that run in step, one array gather for each
-symbol place. A chunk's state map (entry state → exit state and count) is constant from its
-first word start on, and constant altogether if it has none, as no compiled word is as long
-as a chunk (its exit is then the dead state). Composing the maps in a prefix scan gives each
-chunk's entry state, from which its head, up to that first word start, is run again.
+symbol place. A chunk's state map sends an entry state to its exit state: the same one for all
+entries if a word starts in it, else the dead state of the run that goes through, as no compiled
+word is as long as a chunk. The maps are composed in a parallel prefix scan of doubling steps,
+which gives each chunk's entry state; from it the chunk's head, up to its first word start, is
+run again.
 """
 
 from __future__ import annotations
@@ -26,13 +28,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cotengine.llm.blocks import blocks, rows, schema_of
-from cotengine.llm.word_bpe import KIND, LETTER, NUMBER, OTHER, Spans, WordBPE, kept
+from cotengine.llm.merge_rules import MergeRules
+from cotengine.llm.word_bpe import KIND, LETTER, NUMBER, OTHER, Spans, WordBPE, byte_symbols, kept
 
 _OUT = "doc_id long, n_bytes long, n_tokens long"
 CHUNK, WIDTH, LONGEST = 512, 128, 48
 #: States of the transducer in each Python worker, 0.5 kB each.
 STATES = 100_000
 _ROOT, _DEAD_LETTERS, _DEAD_OTHERS = range(3)
+_UNKNOWN = -1 << 20
 _SOLE, _RARE_NUMBER, _RARE_LETTER, _RARE_OTHER = 124, 125, 126, 127
 
 
@@ -47,7 +51,11 @@ class CountingTransducer:
         for i, c in enumerate(own[: _SOLE - 1], 1):
             self.symbol[ord(c)], self.symbol_kind[i] = i, KIND[ord(c)]
         self.next = np.zeros((states, WIDTH), np.int32)
-        self.count = np.zeros(states, np.int32)  # 0: not known, the word has to be looked up
+        self.rules = MergeRules(bpe.path)
+        self.inside = np.zeros(states, np.int32)  # tokens of the prefix; a transition emits the difference of two states
+        self.leave = np.full(states, _UNKNOWN, np.int32)  # what leaving the word here emits; unknown: the word has to be looked up
+        self.run_of = np.full(states, 2, np.int8)  # run that a state is within: letters, other signs, none that goes on
+        self.run_of[[_DEAD_LETTERS, _DEAD_OTHERS]] = 0, 1
         self.n, self.made = 3, Counter()
         start = np.zeros(WIDTH, np.int32)
         for s in range(1, WIDTH):
@@ -63,25 +71,32 @@ class CountingTransducer:
     def _row(self, state: int, kind: int) -> None:
         """A state's transitions before any word goes on from it: within its kind to the dead state, else a new word."""
         self.next[state] = self.start
+        self.run_of[state] = 0 if kind == LETTER else 1 if kind == OTHER else 2
         if kind != NUMBER:
             self.next[state, self.symbol_kind == kind] = _DEAD_LETTERS if kind == LETTER else _DEAD_OTHERS
 
-    def compile(self, word: str, count: int) -> None:
-        """Add the states of a word and the count that leaving it emits."""
+    def compile(self, word: str, check: int) -> None:
+        """Add the states of a word, annotated from the merges; ``check``: the library's count of the word."""
         if len(word) > LONGEST or self.n + len(word) > self.most:
             return
         symbols = self.symbol[np.array([*map(ord, word)])].tolist()
         if any(s >= _SOLE for s in symbols):
             return
-        at, kind = int(self.start[symbols[0]]), int(self.symbol_kind[symbols[0]])
-        for s in symbols[1:]:
+        counted = self.rules.counts(byte_symbols(word))
+        if counted is None or counted[1] != check:
+            return
+        many, whole = counted
+        at, kind, place = int(self.start[symbols[0]]), int(self.symbol_kind[symbols[0]]), len(word[0].encode())
+        self.inside[at] = many[place]
+        for s, c in zip(symbols[1:], word[1:]):
             then = int(self.next[at, s])
             if then <= 2:
                 then, self.n = self.n, self.n + 1
                 self._row(then, kind)
                 self.next[at, s] = then
-            at = then
-        self.count[at] = count
+            at, place = then, place + len(c.encode())
+            self.inside[at] = many[place]
+        self.leave[at] = whole - many[place]
 
     def run(self, symbols: np.ndarray, starts: np.ndarray) -> np.ndarray:
         """The state after each symbol. starts: where a word or a blank begins."""
@@ -100,10 +115,10 @@ class CountingTransducer:
             state = table[(state << 7) | grid[place]]
             seen[place] = state
             state = state.astype(np.int64)
-        # Prefix scan over constant maps: a chunk enters where the one before exits.
         leaves = seen[-1].astype(np.int64)
-        whole = first == CHUNK
-        leaves[whole] = np.where(self.symbol_kind[grid[0, whole]] == LETTER, _DEAD_LETTERS, _DEAD_OTHERS)
+        maps = np.repeat(leaves[:, None], 3, 1)  # exit state of each chunk by the run that it is entered within
+        maps[first == CHUNK, :2] = _DEAD_LETTERS, _DEAD_OTHERS
+        leaves = self.composed(maps)[:, 2]  # the first chunk is entered within no run
         again = np.flatnonzero(first > 0)
         again = again[again > 0]
         again = again[np.argsort(-first[again], kind="stable")]
@@ -114,6 +129,14 @@ class CountingTransducer:
             seen[place, again[:live]] = state
         return seen.T.reshape(-1)[:n]
 
+    def composed(self, maps: np.ndarray) -> np.ndarray:
+        """Row i: all maps up to the i-th, one after the other. Composition is associative, so a scan of doubling steps gives all."""
+        out, d = maps.copy(), 1
+        while d < len(out):
+            out[d:] = np.take_along_axis(out[d:], self.run_of[out[:-d]].astype(np.int64), 1)
+            d *= 2
+        return out
+
     def totals(self, texts: list[str]) -> np.ndarray:
         """Tokens of each plain text."""
         spans = Spans([t.lower() for t in texts])
@@ -121,8 +144,10 @@ class CountingTransducer:
         for at, word in spans.short:
             symbols[at : at + len(word)] = _SOLE  # a word of its own, looked up below
         state = self.run(symbols, spans.starts)
-        counts = self.count[state[spans.ends - 1]]
-        missed = np.flatnonzero(counts == 0)
+        last = state[spans.ends - 1]
+        counts, left = self.inside[last], self.leave[last]
+        missed = np.flatnonzero(left == _UNKNOWN)
+        counts += left
         if len(missed):
             words = spans.words(missed)
             try:

@@ -75,12 +75,18 @@ def _byte_alphabet() -> dict[int, int]:
 _BYTES = _byte_alphabet()
 
 
+def byte_symbols(word: str) -> str:
+    """A word in the byte alphabet, one character for each of its bytes."""
+    return word if word.isascii() else word.encode().decode("latin-1").translate(_BYTES)
+
+
 class WordBPE:
     """One per Python worker. ``path``: a tokenizers file of the kind described above."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
+        self.path = path
         self.library = Tokenizer.from_file(path)
         self.model = self.library.model
         self.library.no_truncation()
@@ -111,8 +117,7 @@ class WordBPE:
                 self.memo[w] = known
         tokenize = self.model.tokenize
         for w in fresh:
-            mapped = w if w.isascii() else w.encode().decode("latin-1").translate(_BYTES)
-            self.memo[w] = pack("<%dI" % len(found := tokenize(mapped)), *[t.id for t in found])
+            self.memo[w] = pack("<%dI" % len(found := tokenize(byte_symbols(w))), *[t.id for t in found])
 
     def ids(self, text: str) -> bytes:
         """All ids of a text as little-endian unsigned 32-bit values, word by word."""
