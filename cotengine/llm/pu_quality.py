@@ -150,7 +150,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, sample: int = SAMPLE, doc_id: str
 
     labels: (doc_id, quality). Positives are texts marked 1; the unlabelled sample is drawn
     from all texts that may be learned from, whatever their mark. An id marked both ways is no
-    positive. None where there are no positives or no texts.
+    positive. Of rows that share an id one text is taken. None where there are no positives or no texts.
     """
     ids = docs.select(F.col(doc_id).cast("long").alias("id")).where(learning_rows(F.col("id")))
     good = labels.where("doc_id IS NOT NULL AND quality IS NOT NULL").groupBy(F.col("doc_id").cast("long").alias("id")).agg(F.min("quality").alias("quality")).where("quality = 1").select("id")
@@ -159,7 +159,8 @@ def fit(docs: DataFrame, labels: DataFrame, *, sample: int = SAMPLE, doc_id: str
         chosen = [r.id for r in rows_.select("id", F.xxhash64("id", F.lit(name)).alias("h")).distinct().orderBy("h", "id").limit(sample).collect()]
         held = docs.sparkSession.createDataFrame([(i,) for i in chosen], "id long")
         picked = docs.select(F.col(doc_id).cast("long").alias("id"), F.col(text).cast("string").alias("text")).join(F.broadcast(held), "id", "left_semi")
-        taken[name] = _numbers(picked).astype(np.float64)
+        one = picked.groupBy("id").agg(F.min_by("text", F.xxhash64("text")).alias("text"))  # so that rows, too, are at most ``sample``
+        taken[name] = _numbers(one.orderBy("id")).astype(np.float64)
     p, u = taken["positive"], taken["unlabelled"]
     if len(p) < 2 or len(u) < 2:
         return None
