@@ -16,7 +16,7 @@ from cotengine.llm.jaccard_join import near_duplicates
 from cotengine.llm.line_dedup import dedup_lines
 from cotengine.llm.queries import WORD_TOKENIZER, benchmark_items, table, tokenizer_path
 from cotengine.llm.ss_packing import pack_documents
-from cotengine.llm.store import materialize
+from cotengine.llm.store import drop_table, scratch
 
 #: Documents that score below it are rejected.
 LEAST_QUALITY = 0.3
@@ -68,7 +68,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """All stages; what a stage wrote for itself goes with it, and its input once the next table is written."""
+    docs, last = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
-        docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        with scratch(spark) as write:
+            docs, path = write(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        if last is not None:
+            drop_table(spark, last)
+        last = path
     return docs

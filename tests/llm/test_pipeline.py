@@ -2,6 +2,7 @@
 
 import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -11,6 +12,7 @@ import corpus_pipeline
 from cotengine.llm.bench_decontam import contaminated
 from cotengine.llm.line_dedup import alike, normal
 from cotengine.llm.queries import WORD_TOKENIZER, tokenizer_path
+from cotengine.llm.store import materialize, shared_folder
 from cotengine.llm.word_bpe import WordBPE
 
 SF = "/root/testdata/sf0.001"
@@ -59,7 +61,7 @@ def test_stages(spark, folder):
     stages, got = dict(corpus_pipeline.STAGES), {}
     assert list(stages) == ["quality", "lines", "near", "decontaminate", "packing"]
     for name, stage in corpus_pipeline.STAGES:
-        out = corpus_pipeline.materialize(stage(spark, docs, folder), "test")
+        out = materialize(stage(spark, docs, folder), "test")
         assert name == "packing" or out.schema == docs.schema
         got[name] = (docs.collect(), out.collect())
         docs = out
@@ -93,7 +95,10 @@ def test_stages(spark, folder):
 def test_run_of_empty_tables(spark, folder, tmp_path):
     for name in ("documents", "labels", "benchmark"):
         spark.read.parquet(f"{folder}/{name}.parquet").where("false").write.parquet(f"{tmp_path}/{name}.parquet")
+    tables = Path(shared_folder(spark).removeprefix("file:")) / "tables"
+    before = set(tables.glob("*")) if tables.exists() else set()
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+    assert [p.name.rsplit("-", 1)[0] for p in set(tables.glob("*")) - before] == ["pipeline-packing"]
 
 
 def test_contamination_by_brute_force(spark):
