@@ -52,17 +52,19 @@ def verified(members: DataFrame, check, ddl_of_members: str, *, chunk: int = 256
     ``members``: node, comp, weight and what ``check`` needs (``ddl_of_members`` names its
     columns). A group of up to ``chunk`` members is one task. A larger one is cut in chunks by
     hash, and each pair of chunks is a task, so no task holds over twice ``chunk`` members and
-    no pair is left out. ``check(table, left, right)`` returns, over the table's rows, the
-    links of each (weighted) and the least node each is connected to; ``left``/``right`` mark
-    the rows of the two chunks. ``links`` sums over tasks; roots of cut groups are joined up
+    no pair is left out. Small groups are handed over together. ``check(table, left, right,
+    group)`` returns, over the table's rows, the links of each (weighted) and the least node
+    each is connected to; only rows of one ``group`` may be linked, and ``left``/``right``
+    mark the rows of the two chunks. ``links`` sums over tasks; roots of cut groups are joined up
     by ``components``. Members without a link come back with themselves as root.
     """
     from collections.abc import Iterator
+    from itertools import chain
 
     import numpy as np
     import pyarrow as pa
 
-    from cotengine.llm.blocks import per_group, rows, schema_of
+    from cotengine.llm.blocks import rows, schema_of
 
     sizes = members.groupBy("comp").agg(F.count("*").alias("size")).where("size > 1").select("comp", F.ceil(F.col("size") / chunk).cast("int").alias("chunks"))
     dealt = members.join(sizes, "comp").withColumn("own", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
@@ -71,15 +73,40 @@ def verified(members: DataFrame, check, ddl_of_members: str, *, chunk: int = 256
     ddl = "node long, root long, links long, cut boolean"
     schema = schema_of(ddl)
 
-    def task(table: pa.Table) -> Iterator[pa.RecordBatch]:
+    def task(table: pa.Table) -> pa.RecordBatch:
         nodes = table.column("node").to_numpy()
         _, one = np.unique(nodes, return_index=True)
         table = table.take(pa.array(np.sort(one))).combine_chunks()  # a repeated row of the input counts once
-        own = table.column("own").to_numpy()
-        links, root = check(table, own == table.column("i")[0].as_py(), own == table.column("j")[0].as_py())
-        yield rows(schema, table.column("node").combine_chunks(), root, links, np.full(len(own), table.column("chunks")[0].as_py() > 1))
-
-    done = materialize(dealt.repartition("comp", "i", "j").sortWithinPartitions("comp", "i", "j").mapInArrow(per_group(["comp", "i", "j"], task), ddl), "verified")
+        own, comp = table.column("own").to_numpy(), table.column("comp").to_numpy()
+        links, root = check(table, own == table.column("i")[0].as_py(), own == table.column("j")[0].as_py(), comp)
+        return rows(schema, table.column("node").combine_chunks(), root, links, table.column("chunks").to_numpy() > 1)
+
+    def bunches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Whole groups, as many small ones at once as make up a chunk, or one part of a cut group."""
+        rest: list[pa.RecordBatch] = []
+        for batch in chain(batches, [None]):
+            table = pa.Table.from_batches([*rest, *([batch] if batch is not None else [])]) if rest or batch is not None else None
+            if table is None or not table.num_rows:
+                continue
+            comp, i, j, chunks = (table.column(c).to_numpy() for c in ("comp", "i", "j", "chunks"))
+            starts = np.flatnonzero(np.concatenate([[True], (comp[1:] != comp[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])]))
+            ends = [*starts[1:].tolist(), len(comp)]
+            if batch is not None:  # the last group may go on
+                rest = table.slice(int(starts[-1])).to_batches()
+                starts, ends = starts[:-1], ends[:-1]
+            at = 0
+            for x, y in zip(starts.tolist(), ends):
+                if chunks[x] > 1 or y - at > chunk:
+                    if x > at:
+                        yield task(table.slice(at, x - at))
+                    at = x
+                    if chunks[x] > 1:
+                        yield task(table.slice(x, y - x))
+                        at = y
+            if ends and ends[-1] > at:
+                yield task(table.slice(at, ends[-1] - at))
+
+    done = materialize(dealt.repartition("comp", "i", "j").sortWithinPartitions("comp", "i", "j").mapInArrow(bunches, ddl), "verified")
     cut = done.where("cut")
     small = done.where(~F.col("cut")).select("node", "root", "links")
     if cut.isEmpty():

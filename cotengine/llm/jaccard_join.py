@@ -104,7 +104,7 @@ def overlaps(sets: list[np.ndarray], a: np.ndarray, b: np.ndarray) -> np.ndarray
 def checker(threshold: float, tolerance: float):
     least = least_matches(threshold, tolerance)
 
-    def check(table: pa.Table, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def check(table: pa.Table, left: np.ndarray, right: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         n = table.num_rows
         signature = np.frombuffer(b"".join(table.column("signature").to_pylist()), np.uint32).reshape(n, -1)
         sets = [np.frombuffer(s, np.uint64) for s in table.column("shingles").to_pylist()]
@@ -113,6 +113,7 @@ def checker(threshold: float, tolerance: float):
         meet = np.zeros((n, n), bool)
         for i in range(BANDS):
             meet |= keys[:, i][:, None] == keys[:, i][None, :]
+        meet &= group[:, None] == group[None, :]
         meet &= np.triu((left[:, None] & right[None, :]) | (right[:, None] & left[None, :]), 1)
         a, b = prune(signature[:, BANDS * ROWS :], *np.nonzero(meet), least)
         links = np.zeros(n, np.int64)
