@@ -12,7 +12,7 @@ from cotengine.llm import lang_id, pu_quality
 from cotengine.llm.bench_decontam import BlockMaxIndex, chunk_words, contaminated
 from cotengine.llm.components import components
 from cotengine.llm.jaccard_join import least_matches, near_duplicates
-from cotengine.llm.line_dedup import alike, dedup_lines, distinct_words, edit_distance, may_be_alike, normal, simhash, trigrams
+from cotengine.llm.line_dedup import alike, dedup_lines, distinct_words, edit_distance, may_be_alike, most_edits, normal, settled, simhash, trigrams
 from cotengine.llm.queries import WORD_TOKENIZER, tokenizer_path
 from cotengine.llm.ss_packing import pack, pack_documents
 from cotengine.llm.suffix_dedup import common_prefixes, dedup_substrings, suffix_array
@@ -123,7 +123,34 @@ def test_trigram_bound_loses_no_pair():
             b[at : at + int(rng.integers(0, 2))] = rng.choice(list("abcd "), rng.integers(0, 2)).tolist()
         b = "".join(b)
         if alike(a, b, 0.8):
-            assert may_be_alike(trigrams(a), trigrams(b), max(len(a), len(b)), 0.8)
+            assert may_be_alike(trigrams(a), trigrams(b), max(len(a), len(b)), most_edits(a, b, 0.8))
+
+
+def test_settled_only_says_what_edit_distance_says():
+    rng = np.random.default_rng(21)
+    words, seen = ["a", "bb", "abc", "dab", ""], set()
+    for _ in range(3000):
+        a = " ".join(rng.choice(words, rng.integers(0, 9)))
+        b = " ".join(rng.choice(words, rng.integers(0, 9))) if rng.random() < 0.3 else a
+        for _ in range(int(rng.integers(0, 4))):
+            at = int(rng.integers(0, len(b) + 1))
+            b = b[:at] + str(rng.choice(["", "x", " ", "abc"])) + b[at + int(rng.integers(0, 3)) :]
+        most = most_edits(a, b, 0.8)
+        said, truth = settled(a, b, most), edit_distance(a, b, most) <= most
+        assert said is None or said == truth
+        seen.add(said)
+    assert seen == {True, False, None}
+
+
+def test_simhash_counts_in_lanes_of_any_width():
+    rng = np.random.default_rng(22)
+    for longest in (1, 255, 256, 70_000):
+        starts = np.concatenate([[0], np.cumsum([longest, 3, 1])])
+        hashes = rng.integers(0, 1 << 64, starts[-1], dtype=np.uint64)
+        hashes[: longest // 2 + 1] |= np.uint64(1 << 63 | 1)
+        bits = (hashes[:, None] >> np.arange(64, dtype=np.uint64)) & np.uint64(1)
+        want = [sum(1 << b for b in range(64) if 2 * int(bits[x:y, b].sum()) > y - x) for x, y in zip(starts[:-1], starts[1:])]
+        assert simhash(hashes, starts).tolist() == want
 
 
 def test_lines(spark):
