@@ -12,7 +12,7 @@ from cotengine.llm import lang_id, pu_quality
 from cotengine.llm.bench_decontam import BlockMaxIndex, chunk_words, contaminated
 from cotengine.llm.components import components
 from cotengine.llm.jaccard_join import least_matches, near_duplicates
-from cotengine.llm.line_dedup import alike, dedup_lines, distinct_words, edit_distance, may_be_alike, most_edits, normal, settled, simhash, trigrams
+from cotengine.llm.line_dedup import alike, dedup_lines, distinct_words, edit_distance, most_edits, normal, settled, simhash
 from cotengine.llm.queries import WORD_TOKENIZER, tokenizer_path
 from cotengine.llm.ss_packing import pack, pack_documents
 from cotengine.llm.suffix_dedup import common_prefixes, dedup_substrings, suffix_array
@@ -113,19 +113,6 @@ def test_edit_distance():
         assert edit_distance(a, b, 99) == plain(a, b)
 
 
-def test_trigram_bound_loses_no_pair():
-    rng = np.random.default_rng(12)
-    for _ in range(600):
-        a = "".join(rng.choice(list("abcd "), rng.integers(0, 60)))
-        b = list(a)
-        for _ in range(int(rng.integers(0, 1 + len(a) // 4))):
-            at = int(rng.integers(0, len(b) + 1))
-            b[at : at + int(rng.integers(0, 2))] = rng.choice(list("abcd "), rng.integers(0, 2)).tolist()
-        b = "".join(b)
-        if alike(a, b, 0.8):
-            assert may_be_alike(trigrams(a), trigrams(b), max(len(a), len(b)), most_edits(a, b, 0.8))
-
-
 def test_settled_only_says_what_edit_distance_says():
     rng = np.random.default_rng(21)
     words, seen = ["a", "bb", "abc", "dab", ""], set()
