@@ -64,3 +64,32 @@ def test_rounds_lower_the_target_risk(spark):
 
 def test_sketch_quantiles_are_close(spark):
     assert all(r.rank_error < 0.02 for r in entry.queries()["quantile_error"](spark, SF).collect())
+
+
+def test_the_full_kernel_shuffles_no_pair(spark):
+    text = entry.queries()["kernel_full"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Window" not in text and "prob" in text
+
+
+def test_the_binary_scan_reads_the_content(spark):
+    text = plan(entry.queries()["op_scan_binary"](spark, SF))
+    assert "content:binary" in text.split("ReadSchema")[1].split("\n")[0]
+
+
+@pytest.mark.parametrize("name", ["kernel_full", "op_scan_binary", "published_rank"])
+def test_moved_queries_against_sql(spark, name):
+    assert "parquet" in plan(entry.queries()[name](spark, SF))
+    test_against_sql(spark, name)
+
+
+def test_the_full_kernel_over_several_blocks(spark, monkeypatch):
+    from cotengine.operators import failure, vector_blocks
+
+    monkeypatch.setattr(vector_blocks, "ROWS", 7)
+    monkeypatch.setattr(vector_blocks, "QUERY_ROWS", 3)
+    rows = [(i, [float((i * j) % 7 - 3) for j in (1, 2, 3)]) for i in range(1, 30)] + [(40, [0.0, 0.0, 0.0]), (41, [1.0, 2.0])]
+    c = spark.createDataFrame(rows, "d_id long, vec array<double>").repartition(3)
+    q = c.withColumnRenamed("d_id", "x_id")
+    want = {(r.x_id, r.d_id): r.prob for r in failure.retrieval_kernel(failure.retrieve(q, c, min_sim=-2.0).where("x_id <> d_id"), 0.1).collect()}
+    got = {(r.x_id, r.d_id): r.prob for r in failure.full_kernel(q, c, 0.1, apart=True).collect()}
+    assert set(got) == set(want) and all(abs(got[k] - want[k]) < 1e-9 for k in want)
