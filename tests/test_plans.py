@@ -93,3 +93,13 @@ def test_the_full_kernel_over_several_blocks(spark, monkeypatch):
     want = {(r.x_id, r.d_id): r.prob for r in failure.retrieval_kernel(failure.retrieve(q, c, min_sim=-2.0).where("x_id <> d_id"), 0.1).collect()}
     got = {(r.x_id, r.d_id): r.prob for r in failure.full_kernel(q, c, 0.1, apart=True).collect()}
     assert set(got) == set(want) and all(abs(got[k] - want[k]) < 1e-9 for k in want)
+
+
+def test_verified_pairs_move_hashes_not_words(spark):
+    from cotengine.operators import dedup
+
+    docs = spark.createDataFrame([(1, "a b c d e"), (2, "a b c d f")], "doc_id long, text string")
+    banded = dedup.cut_lineage(dedup.band_keys(dedup.minhash(docs)), "bands")
+    found = dedup.verify_pairs(banded.withColumns({"band": F.lit(0), "bkey": F.lit("x")}), docs)
+    assert [(r.a, r.b, r.jaccard) for r in found.collect()] == [(1, 2, 0.5)]
+    assert "xxhash64" in found._jdf.queryExecution().optimizedPlan().toString()
